@@ -4,23 +4,43 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from evsketch.llm import quality, sql, urlfilter
+from evsketch.llm import bpe, html, packing, pii, quality, sql, urlfilter
 from evsketch.llm.common import table
 
+#: The vocabulary of the token queries.
+VOCABULARY = public_tokenizers.path("byte_bpe_50k.json")
+
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.digest(table(spark, sf_dir, "documents"))
+
+
+def op2_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html.extract(table(spark, sf_dir, "pages"))
+
+
+def op3_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"), VOCABULARY)
+
+
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(table(spark, sf_dir, "documents"))
 
 
+def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.digest(table(spark, sf_dir, "documents"), VOCABULARY)
+
+
 def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge_urls(table(spark, sf_dir, "pages")).drop("mined")
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op4_quality_rules, op7_url_filter)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_pii, op2_html_text, op3_packing, op4_quality_rules, op6_bpe, op7_url_filter)}
 
 
 def queries() -> dict[str, Query]:
