@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from evsketch.llm import bpe, html, packing, pii, quality, sql, urlfilter
+from evsketch.llm import bpe, html, minhash, packing, pii, quality, sql, urlfilter
 from evsketch.llm.common import table
 
 #: The vocabulary of the token queries.
@@ -40,7 +40,11 @@ def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge_urls(table(spark, sf_dir, "pages")).drop("mined")
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_pii, op2_html_text, op3_packing, op4_quality_rules, op6_bpe, op7_url_filter)}
+def op9_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.near_duplicates(table(spark, sf_dir, "documents"), width=2)
+
+
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_pii, op2_html_text, op3_packing, op4_quality_rules, op6_bpe, op7_url_filter, op9_near_dedup)}
 
 
 def queries() -> dict[str, Query]:
