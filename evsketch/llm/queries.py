@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from evsketch.llm import bpe, html, minhash, packing, pii, quality, sql, urlfilter
+from evsketch.llm import bpe, html, minhash, packing, pii, pq, quality, sql, urlfilter
 from evsketch.llm.common import table
 
 #: The vocabulary of the token queries.
@@ -32,6 +32,10 @@ def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score(table(spark, sf_dir, "documents"))
 
 
+def op5_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pq.near_vectors(table(spark, sf_dir, "embeddings"))
+
+
 def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digest(table(spark, sf_dir, "documents"), VOCABULARY)
 
@@ -44,7 +48,7 @@ def op9_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(table(spark, sf_dir, "documents"), width=2)
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_pii, op2_html_text, op3_packing, op4_quality_rules, op6_bpe, op7_url_filter, op9_near_dedup)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_pii, op2_html_text, op3_packing, op4_quality_rules, op5_embedding_dedup, op6_bpe, op7_url_filter, op9_near_dedup)}
 
 
 def queries() -> dict[str, Query]:
