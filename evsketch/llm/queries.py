@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from evsketch.llm import bpe, html, minhash, packing, pii, pq, quality, sql, suffix, urlfilter
+from evsketch.llm import bpe, html, lm, minhash, packing, pii, pq, quality, sql, suffix, urlfilter
 from evsketch.llm.common import table
 
 #: The vocabulary of the token queries.
@@ -44,6 +44,10 @@ def op7_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge_urls(table(spark, sf_dir, "pages")).drop("mined")
 
 
+def op8_quality_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op9_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(table(spark, sf_dir, "documents"), width=2)
 
@@ -52,7 +56,7 @@ def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix.digest(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_pii, op2_html_text, op3_packing, op4_quality_rules, op5_embedding_dedup, op6_bpe, op7_url_filter, op9_near_dedup, op10_suffix_dedup)}
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op1_pii, op2_html_text, op3_packing, op4_quality_rules, op5_embedding_dedup, op6_bpe, op7_url_filter, op8_quality_lm, op9_near_dedup, op10_suffix_dedup)}
 
 
 def queries() -> dict[str, Query]:
