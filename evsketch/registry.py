@@ -2,10 +2,17 @@
 
 from __future__ import annotations
 
+from importlib import import_module
+
+from evsketch.workloads.common import ORACLES, QUERIES
+
+for _name in ("methods",):
+    import_module(f"evsketch.workloads.{_name}")
+
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict:
-    return {}
+    return dict(ORACLES)
