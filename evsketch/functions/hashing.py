@@ -47,11 +47,14 @@ def full_draw(spec: SketchSpec, item: Column, i: Column | int, mode: str = "reha
     two hashes of the item combined as h1 + (i + 1) * h2."""
     number = F.lit(i) if isinstance(i, int) else i
     if mode == "linear":
-        if spec.family == "portable":
+        if spec.family == "portable":  # 52-bit steps; products stay below 2**63 for k up to 2047
             d = _digest(spec, item)
-            return F.pmod(_hex(d, 1, 13) + (number + 1).cast("long") * F.pmod(_hex(d, 14, 13), F.lit(1 << 31)), F.lit(1 << 52))
-        one, two = F.shiftrightunsigned(_seeded(spec, "#one", item), 2), F.pmod(_seeded(spec, "#two", item), F.lit(1 << 31))
-        return one + (number + 1).cast("long") * two  # below 2**63 for k up to 2**30
+            return F.pmod(_hex(d, 1, 13) + (number + 1).cast("long") * _hex(d, 14, 13), F.lit(1 << 52))
+        one, step = F.shiftrightunsigned(_seeded(spec, "#one", item), 2), F.shiftrightunsigned(_seeded(spec, "#two", item), 2)
+        i_, low31, low62 = (number + 1).cast("long"), F.lit((1 << 31) - 1), F.lit((1 << 62) - 1)
+        high = F.shiftleft((i_ * F.shiftright(step, 31)).bitwiseAND(low31), 31)  # 62-bit product by halves
+        product = (high + i_ * step.bitwiseAND(low31)).bitwiseAND(low62)
+        return F.shiftleft((one + product).bitwiseAND(low62), 1)
     if spec.family == "portable":
         return _hex(F.md5(F.concat(F.lit(f"{spec.seed}/"), number.cast("string"), F.lit(":"), item.cast("string")).cast("binary")), 1, 13)
     return F.shiftrightunsigned(F.xxhash64(_seeded(spec, "#full", item), number), 1)

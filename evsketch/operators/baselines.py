@@ -78,7 +78,7 @@ def bit_pattern_count(df: DataFrame, cols: Cols, spec: SketchSpec) -> DataFrame:
     bit = F.expr(f"shiftleft(1L, least(zeros, {spec.bits - 1}))")
     read = items(df, cols).select(hashing.register(spec, item).alias("reg"), (rank(w, spec.bits) - 1).alias("zeros"))
     maps = read.groupBy("reg").agg(F.bit_or(bit).alias("bits"))
-    lowest = F.bit_count(F.col("bits").bitwiseAND(F.bitwise_not(F.col("bits") + 1)).bitwiseAND(F.col("bits").bitwiseXOR(F.col("bits") + 1)))
+    lowest = F.bit_count(F.col("bits").bitwiseXOR(F.col("bits") + 1)) - 1  # trailing ones
     z = F.lit(spec.k / PATTERN_PHI) * F.pow(F.lit(2.0), F.coalesce(F.sum(lowest), F.lit(0)) / F.lit(spec.k))
     return maps.agg(z.alias("z"))
 

@@ -1 +1 @@
-
+"""What a physical plan must look like."""

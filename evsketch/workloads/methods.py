@@ -67,7 +67,7 @@ def m1_full_arrow(spark, sf_dir):
     return z6(estimate.estimate_geometric(*_full(spark, sf_dir, "arrow")))
 
 
-_LINEAR = f"(select i as reg, min((cast('0x' || substr(m, 1, 13) as bigint) + (i + 1) * (cast('0x' || substr(m, 14, 13) as bigint) % 2147483648)) % 4503599627370496) as w from (select {md('o_orderkey')} as m from orders) cross join range({K_FULL}) t(i) group by all)"
+_LINEAR = f"(select i as reg, min((cast('0x' || substr(m, 1, 13) as bigint) + (i + 1) * cast('0x' || substr(m, 14, 13) as bigint)) % 4503599627370496) as w from (select {md('o_orderkey')} as m from orders) cross join range({K_FULL}) t(i) group by all)"
 
 
 @query(geo(_LINEAR, 1))
