@@ -6,7 +6,7 @@ from importlib import import_module
 
 from evsketch.workloads.common import ORACLES, QUERIES
 
-for _name in ("methods", "baselines", "measures"):
+for _name in ("methods", "baselines", "measures", "scenarios", "relational", "streams", "functions"):
     import_module(f"evsketch.workloads.{_name}")
 
 
