@@ -324,3 +324,30 @@ def m16_median_copies(spark, sf_dir):
         one = z6(estimate.estimate_geometric(*_dense(spark, sf_dir, seed=s)))
         out = one if out is None else out.union(one)
     return z6(estimate.median_estimate(out))
+
+
+@query("select * from (values ('averaged_geometric', true), ('averaged_harmonic', true), ('averaged_shifted', true), ('full_geometric', true)) v(method, inside)")
+def fast_family(spark, sf_dir):
+    """The xxhash64 family against exact counts: each answer within five standard errors."""
+    spec = spec_at(sf_dir, family="fast")
+    keys = _orderkeys(spark, sf_dir)
+    dense = rg.with_seed_draws(rg.registers(keys, "l_orderkey", spec=spec), spec)
+    full = SketchSpec(k=K_FULL, layout="full", family="fast")
+    answers = {
+        "averaged_geometric": (estimate.estimate_geometric(dense, spec), 1.2825 / spec.k**0.5),
+        "averaged_harmonic": (estimate.estimate_harmonic(dense, spec), 1 / spec.k**0.5),
+        "averaged_shifted": (estimate.estimate_shifted(discretize.shift_round_registers(dense, spec), spec), 1.3146 / spec.k**0.5),
+        "full_geometric": (estimate.estimate_geometric(rg.full_registers(keys, "l_orderkey", spec=full), full), 1.2825 / full.k**0.5),
+    }
+    n = keys.agg(F.count_distinct("l_orderkey").alias("n"))
+    out = None
+    for method, (z, scale) in answers.items():
+        one = z.crossJoin(n).select(F.lit(method).alias("method"), (F.abs(F.col("z") - F.col("n")) <= 5 * scale * F.col("n") + spec.k).alias("inside"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query()
+def fast_geo(spark, sf_dir):
+    """The default way at scale: averaged registers by xxhash64, geometric answer (rows only)."""
+    return z6(estimate.estimate_geometric(*_dense(spark, sf_dir, family="fast")))

@@ -17,7 +17,8 @@ from evsketch.workloads.methods import z6
 from evsketch.workloads.scenarios import USERS, dense
 
 SPEC = SketchSpec(k=16)
-_DAY = F.window("ts", "1 day")
+def _day_window():
+    return F.window("ts", "1 day")
 
 
 def _day(df):
@@ -33,7 +34,7 @@ _DAILY = geo(seeded(regs(USERS, "user_id", "day", 16), "day", 16), 16, "day")
 
 @query(_DAILY)
 def st_tumbling(spark, sf_dir):
-    regs_ = st.stream_registers(tables.stream_events(spark, sf_dir), "user_id", SPEC, _DAY, "1 hour")
+    regs_ = st.stream_registers(tables.stream_events(spark, sf_dir), "user_id", SPEC, _day_window(), "1 hour")
     return _answers(_day(st.run_available(regs_)), ["day"])
 
 
@@ -69,7 +70,7 @@ def _folder(spark) -> str:
 def st_update_upsert(spark, sf_dir):
     """Update mode into a sketch table by foreachBatch, answered on reading."""
     path = _folder(spark)
-    regs_ = st.stream_registers(tables.stream_events(spark, sf_dir), "user_id", SPEC, _DAY, "1 hour")
+    regs_ = st.stream_registers(tables.stream_events(spark, sf_dir), "user_id", SPEC, _day_window(), "1 hour")
     day = regs_.withColumn("day", F.date_format("window.start", "yyyy-MM-dd"))
     run = day.writeStream.outputMode("update").foreachBatch(st.upsert_into(f"{path}/regs", ["day"])).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start()
     run.awaitTermination()
