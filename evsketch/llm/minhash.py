@@ -7,11 +7,16 @@ document lies below the next rank no later rank can change it and its elements s
 share their elements out more evenly than independent minima do, which lowers the variance.
 
 Equal sets are one class. Classes that share a band meet in a bucket; in every bucket the smallest
-class is the hub and all others are verified against it on full sets, which is linear in the
-bucket. Members whose component differs from their hub's are then verified against the other
-members, less those that the triangle inequality of the Jaccard distance (through the hub) or the
-set sizes rule out. No pair inside a component is ever formed, nothing is capped, and nothing is
-collected but a bitmap of fixed size, which only spares shipping sets that no bucket needs.
+class is the hub and others are verified against it on full sets, which is linear in the bucket:
+first over the buckets of a few bands, which joins most of what belongs together, then over all
+buckets for the members that are not in their hub's component yet. A pair is verified only if set
+sizes allow it and if two bits of each slot agree about as often as the threshold implies
+(``Banding.sigmas`` standard deviations below its expectation). Where members of a bucket are still
+apart, blocks of it are searched for such likely pairs; what these join is a cluster, and a
+cluster's blocks are settled on full sets, each document against the others until it is in their
+component. Searches return spanning forests, never pairs, and no pair inside a component is
+verified. Blocks bound a task's rows however large a bucket is, nothing is capped, and nothing is
+collected but a bitmap of fixed size, which only spares shipping sets no bucket needs.
 
 Defined cases: null or empty texts, and texts of white space, have an empty set, n_shingles 0 and
 stand alone; fewer than ``width`` words make one shingle; a null key joins its class but is never
@@ -30,9 +35,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import arrow_map, components, empty_safe, mix64, raw, signed, slices, staged
+from evsketch.llm.common import arrow_map, components, empty_safe, forest, mix64, raw, signed, slices, staged
 
 _GOLD = 0x9E3779B97F4A7C15
+#: Rows of a block where likely pairs are searched, and where they are settled on full sets.
+SEARCH_BLOCK, SETTLE_BLOCK = 2048, 4096
 #: log2 of the bits that tell which classes some bucket needs; fixed, whatever the input.
 BITMAP_LOG2 = 24
 
@@ -43,11 +50,18 @@ class Banding:
 
     bands: int = 40
     rows: int = 6
+    first: int = 3  # bands of the first round
+    sigmas: float = 4.0
 
     @property
     def slots(self) -> int:
         return self.bands * self.rows
 
+    def least_agreement(self, share: float) -> int:
+        """Slots whose two bits must agree for a pair of similarity ``share``, less ``sigmas`` deviations."""
+        p = share + (1 - share) / 4
+        return int(np.floor(self.slots * p - self.sigmas * (self.slots * p * (1 - p)) ** 0.5))
+
 
 class _Words(dict):
     """64-bit hash of each word, bounded."""
@@ -121,6 +135,24 @@ def bands_of(sig: np.ndarray, how: Banding) -> np.ndarray:
     return key
 
 
+def two_bits(sig: np.ndarray) -> np.ndarray:
+    """The low two bits of each slot, 32 slots to a word."""
+    docs, slots = sig.shape
+    words = -(-slots // 32)
+    low = np.zeros((docs, words * 32), np.uint64)
+    low[:, :slots] = sig & np.uint64(3)
+    return (low.reshape(docs, words, 32) << np.arange(0, 64, 2, dtype=np.uint64)).sum(axis=2, dtype=np.uint64)
+
+
+def _agreement(words: int, slots: int, a: str, b: str):
+    """Slots whose two bits agree, from columns {a}0.. and {b}0.. (unused places agree and are taken off)."""
+    apart = []
+    for i in range(words):
+        x = f"({a}{i} ^ {b}{i})"
+        apart.append(f"bit_count(({x} | shiftrightunsigned({x}, 1)) & 6148914691236517205L)")
+    return F.lit(slots) - F.expr(" + ".join(apart))
+
+
 def _sets(batch: pa.RecordBatch, text: str, width: int) -> Iterator[tuple[int, list[np.ndarray]]]:
     body, off = raw(empty_safe(batch.column(text)))
     for a, b in slices(off, 1 << 19):
@@ -137,7 +169,7 @@ def _class_key(s: np.ndarray) -> tuple[int, int]:
 
 
 def signatures(docs: DataFrame, key: str, text: str, width: int, how: Banding) -> DataFrame:
-    """Per row: key, n (set size), k1 and k2 (the set's name), bands (null for an empty set)."""
+    """Per row: key, n (set size), k1 and k2 (the set's name), bands, bits."""
 
     def run(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
         for a, sets in _sets(batch, text, width):
@@ -148,10 +180,12 @@ def signatures(docs: DataFrame, key: str, text: str, width: int, how: Banding) -
             names = [_class_key(s) for s in sets]
             keys = signed(bands_of(sig, how))
             bands = pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1) * how.bands, pa.int32()), pa.array(keys.ravel()))
-            cols = [batch.column(key).slice(a, len(sets)), pa.array(size, pa.int64()), pa.array([x[0] for x in names], pa.int64()), pa.array([x[1] for x in names], pa.int64()), bands]
-            yield pa.RecordBatch.from_arrays(cols, ["key", "n", "k1", "k2", "bands"])
+            bits = signed(two_bits(sig))
+            bits = pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1) * bits.shape[1], pa.int32()), pa.array(bits.ravel()))
+            cols = [batch.column(key).slice(a, len(sets)), pa.array(size, pa.int64()), pa.array([x[0] for x in names], pa.int64()), pa.array([x[1] for x in names], pa.int64()), bands, bits]
+            yield pa.RecordBatch.from_arrays(cols, ["key", "n", "k1", "k2", "bands", "bits"])
 
-    return arrow_map(docs.select(key, text), run, f"key {docs.schema[key].dataType.simpleString()}, n long, k1 long, k2 long, bands array<long>")
+    return arrow_map(docs.select(key, text), run, f"key {docs.schema[key].dataType.simpleString()}, n long, k1 long, k2 long, bands array<long>, bits array<long>")
 
 
 def full_sets(docs: DataFrame, text: str, width: int, wanted: bytes) -> DataFrame:
@@ -210,6 +244,102 @@ def verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return arrow_map(pairs.join(left, "a").join(right, "b").select("a", "b", "sa", "sb"), run, "a long, b long, inter long, n_a long, n_b long")
 
 
+def tiles(rows: DataFrame, block: int) -> DataFrame:
+    """Rows with (block, tile): each home of ``size`` rows is cut into blocks by a hash, and a row goes to
+    every tile that pairs its block with another or with itself."""
+    blocks = F.ceil(F.col("size") / block).cast("int")
+    cut = rows.withColumn("blocks", F.greatest(F.lit(1), blocks)).withColumn("block", F.pmod(F.xxhash64("cid"), F.col("blocks")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    spread = cut.withColumn("other", other)
+    tile = F.least("block", "other").cast("long") * F.lit(1 << 32) + F.greatest("block", "other")
+    return spread.withColumn("tile", tile).drop("other", "blocks", "size")
+
+
+def _columns(table: pa.Table):
+    table = table.combine_chunks()
+    bits = table.column("bits").combine_chunks()
+    bits = (bits.chunk(0) if isinstance(bits, pa.ChunkedArray) else bits).flatten().to_numpy().view(np.uint64).reshape(table.num_rows, -1)
+    return table, *(table.column(c).to_numpy() for c in ("cid", "root", "n", "block")), bits
+
+
+def _agree(x: np.ndarray, y: np.ndarray, slots: int) -> np.ndarray:
+    """Agreeing slots of one row of bits with many."""
+    d = x ^ y
+    return slots - np.bitwise_count((d | (d >> np.uint64(1))) & np.uint64(0x5555555555555555)).sum(axis=1, dtype=np.int64)
+
+
+def _likely_pairs(percent: int, likely: int, slots: int):
+    """Spanning forest of a tile's likely pairs of different components."""
+
+    def run(table: pa.Table) -> pa.Table:
+        table, cid, root, n, block, bits = _columns(table)
+        low, high = np.flatnonzero(block == block.min()), np.flatnonzero(block == block.max())
+        alone = block.min() == block.max()
+        a, b, keep = [], [], []
+        whole = table.column("tile")[0].as_py()
+        if alone and (whole >> 32) != (whole & 0xFFFFFFFF):
+            low = low[:0]  # the other block of this pair is empty
+        for i in low.tolist():
+            ok = (root[high] != root[i]) & (100 * np.minimum(n[high], n[i]) >= percent * np.maximum(n[high], n[i]))
+            j = high[ok & (high > i)] if alone else high[ok]
+            if len(j):
+                j = j[_agree(bits[i], bits[j], slots) >= likely]
+                a.append(np.full(len(j), cid[i]))
+                b.append(cid[j])
+                if sum(map(len, a)) > 500_000:
+                    keep.append(forest(np.concatenate(a), np.concatenate(b)))
+                    a, b = [], []
+        if a:
+            keep.append(forest(np.concatenate(a), np.concatenate(b)))
+        return pa.table({"a": pa.array(np.concatenate([k[0] for k in keep]) if keep else np.zeros(0, np.int64), pa.int64()), "b": pa.array(np.concatenate([k[1] for k in keep]) if keep else np.zeros(0, np.int64), pa.int64())})
+
+    return run
+
+
+def _settled(percent: int, likely: int, slots: int):
+    """Links that join a tile's components, by full sets; every likely pair is verified or already joined."""
+
+    def run(table: pa.Table) -> pa.Table:
+        table, cid, root, n, block, bits = _columns(table)
+        sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in table.column("set").combine_chunks()]
+        names, own = np.unique(root, return_inverse=True)
+        at = np.arange(len(names))  # component of each root
+        main = int(np.bincount(own).argmax())
+        tile = table.column("tile")[0].as_py()
+        i_, j_ = tile >> 32, tile & 0xFFFFFFFF
+        low, high = np.flatnonzero(block == i_), np.flatnonzero(block == j_)
+        work = [(x, high) for x in low[own[low] != main].tolist()]
+        if i_ != j_:  # pairs of the main component's rows in the first block with others in the second
+            rest = low[own[low] == main]
+            work += [(y, rest) for y in high[own[high] != main].tolist()]
+        edges = []
+        for x, others in work:
+            ok = (at[own[others]] != at[own[x]]) & (100 * np.minimum(n[others], n[x]) >= percent * np.maximum(n[others], n[x]))
+            others = others[ok]
+            if not len(others):
+                continue
+            agree = _agree(bits[x], bits[others], slots)
+            ok = agree >= likely
+            others = others[ok][np.argsort(-agree[ok], kind="stable")]
+            step = 8
+            while len(others):
+                head, others = others[:step], others[step:]
+                size = np.array([len(sets[y]) for y in head.tolist()])
+                every = np.concatenate([sets[y] for y in head.tolist()])
+                spot = np.searchsorted(sets[x], every)
+                spot[spot == len(sets[x])] = 0
+                both = np.add.reduceat((sets[x][spot] == every).astype(np.int64), np.cumsum(size) - size)
+                for y in head[100 * both >= percent * (size + len(sets[x]) - both)].tolist():
+                    if at[own[x]] != at[own[y]]:
+                        edges.append((cid[x], cid[y]))
+                        at[at == at[own[x]]] = at[own[y]]
+                others = others[at[own[others]] != at[own[x]]]
+                step = min(4096, step * 4)
+        return pa.table({"a": pa.array([e[0] for e in edges], pa.int64()), "b": pa.array([e[1] for e in edges], pa.int64())})
+
+    return run
+
+
 def _linked(percent: int):
     return F.expr(f"100 * inter >= {percent} * (n_a + n_b - inter)")
 
@@ -217,32 +347,53 @@ def _linked(percent: int):
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", width: int = 5, percent: int = 80, how: Banding = Banding()) -> DataFrame:
     """Per row of ``docs``: key, n_shingles, component_id (the smallest key of its component), kept."""
     meta = staged(signatures(docs, key, text, width, how))
-    grouped = meta.where("n > 0").groupBy("k1", "k2").agg(F.min("key").alias("low"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"))
+    grouped = meta.where("n > 0").groupBy("k1", "k2").agg(F.min("key").alias("low"), F.any_value("n").alias("n"), F.any_value("bands").alias("bands"), F.any_value("bits").alias("bits"))
     classes = staged(grouped.withColumn("cid", F.monotonically_increasing_id()))
-    spread = classes.select("cid", "n", F.explode("bands").alias("bucket"))
-    hubs = staged(spread.groupBy("bucket").agg(F.min(F.struct("cid", "n")).alias("h"), F.count("*").alias("c")).where("c > 1").select("bucket", F.col("h.cid").alias("hub"), F.col("h.n").alias("hub_n")))
+    words = -(-how.slots // 32)
+    bits = classes.select("cid", "n", *[F.col("bits")[i].alias(f"m{i}") for i in range(words)])
+    spread = classes.select("cid", F.posexplode("bands").alias("band", "bucket"))
+    hubs = staged(spread.groupBy("bucket").agg(F.min("cid").alias("hub"), F.count("*").alias("c")).where("c > 1"))
     members = staged(spread.join(hubs, "bucket"))
-    # J >= t needs min(n) >= t * max(n): pairs that fail it are no links, and the hub's distance is then only bounded
-    star = staged(members.where("cid <> hub").select(F.col("hub").alias("a"), F.col("cid").alias("b")).distinct())
     wanted = classes.join(members.select("cid").distinct(), "cid", "left_semi")
-    sets_raw = full_sets(docs, text, width, bitmap(wanted))
-    sets = staged(sets_raw.groupBy("k1", "k2").agg(F.any_value("set").alias("set")).join(classes.select("cid", "k1", "k2"), ["k1", "k2"]).select("cid", "set"))
-    seen = staged(verify(star, sets))
-    edges = staged(seen.where(_linked(percent)).select("a", "b"))
-    found = components(edges)
-    # members that their bucket's hub did not reach, against the rest of the bucket
-    gap = F.lit(1 - percent / 100 + 1e-9)
-    far = seen.select(F.col("a").alias("hub"), F.col("b").alias("cid"), (1 - F.col("inter") / (F.col("n_a") + F.col("n_b") - F.col("inter"))).alias("d"))
-    root = found.select(F.col("node").alias("cid"), "root")
-    hub_root = found.select(F.col("node").alias("hub"), F.col("root").alias("hub_root"))
-    placed = members.join(far, ["hub", "cid"], "left").join(root, "cid", "left").join(hub_root, "hub", "left")
-    placed = placed.select("bucket", "cid", "n", F.coalesce("d", F.lit(0.0)).alias("d"), F.coalesce("root", "cid").alias("root"), F.coalesce("hub_root", "hub").alias("hub_root"), (F.col("cid") == F.col("hub")).alias("is_hub"))
-    placed = staged(placed)
-    lone = placed.where("root <> hub_root").select("bucket", F.col("cid").alias("x"), F.col("n").alias("xn"), F.col("d").alias("xd"), F.col("root").alias("xr"))
-    close = (F.col("xr") != F.col("root")) & (F.abs(F.col("xd") - F.col("d")) <= gap) & (100 * F.least("xn", "n") >= percent * F.greatest("xn", "n"))
-    again = lone.join(placed.where("not is_hub"), "bucket").where(close & ((F.col("root") == F.col("hub_root")) | (F.col("x") < F.col("cid"))))
-    tail = staged(again.select(F.least("x", "cid").alias("a"), F.greatest("x", "cid").alias("b")).distinct())
-    more = verify(tail, sets).where(_linked(percent)).select("a", "b")
+    named_sets = full_sets(docs, text, width, bitmap(wanted)).groupBy("k1", "k2").agg(F.any_value("set").alias("set"))
+    sets = staged(named_sets.join(classes.select("cid", "k1", "k2"), ["k1", "k2"]).select("cid", "set"))
+    likely = how.least_agreement(percent / 100)
+    fits = lambda x, y: 100 * F.least(x, y) >= percent * F.greatest(x, y)
+
+    def links(pairs: DataFrame) -> DataFrame:
+        return verify(pairs, sets).where(_linked(percent)).select("a", "b")
+
+    def rooted(roots: DataFrame) -> DataFrame:
+        mine = roots.select(F.col("node").alias("cid"), "root")
+        hubs_ = roots.select(F.col("node").alias("hub"), F.col("root").alias("hub_root"))
+        out = members.join(mine, "cid", "left").join(hubs_, "hub", "left")
+        return out.select("bucket", "c", "cid", "hub", F.coalesce("root", "cid").alias("root"), F.coalesce("hub_root", "hub").alias("hub_root"))
+
+    # a bucket's members against its hub, where sizes and bits allow a link
+    member = members.join(bits.select("cid", F.col("n").alias("nx"), *[F.col(f"m{i}").alias(f"x{i}") for i in range(words)]), "cid")
+    hub = bits.select(F.col("cid").alias("a"), F.col("n").alias("ny"), *[F.col(f"m{i}").alias(f"y{i}") for i in range(words)])
+    allowed = (F.col("cid") != F.col("a")) & fits(F.col("nx"), F.col("ny")) & (_agreement(words, how.slots, "x", "y") >= likely)
+    star = member.join(hub, (F.col("hub") == F.col("a")) & allowed).groupBy("a", F.col("cid").alias("b")).agg(F.min("band").alias("band"))
+    star = staged(star)
+    # one round over few bands, one over what it left apart
+    edges = staged(links(star.where(F.col("band") < how.first).select("a", "b")))
+    roots = components(edges)
+    left, right = roots.select(F.col("node").alias("a"), F.col("root").alias("ra")), roots.select(F.col("node").alias("b"), F.col("root").alias("rb"))
+    apart = star.where(F.col("band") >= how.first).join(left, "a", "left").join(right, "b", "left").where(F.coalesce("ra", "a") != F.coalesce("rb", "b"))
+    edges = staged(edges.union(links(apart.select("a", "b"))))
+    # buckets with members that no hub reached: likely pairs, then whole sets a cluster at a time
+    placed = staged(rooted(components(edges)))
+    lone = placed.where("root <> hub_root").select("bucket").distinct()
+    plain = classes.select("cid", "n", "bits")
+    inside = tiles(placed.join(lone, "bucket", "left_semi").select(F.col("bucket").alias("home"), F.col("c").alias("size"), "cid", "root").join(plain, "cid"), SEARCH_BLOCK)
+    forest_ = inside.groupBy("home", "tile").applyInArrow(_likely_pairs(percent, likely, how.slots), "a long, b long")
+    cluster = components(forest_)
+    sized = cluster.groupBy("root").agg(F.count("*").cast("long").alias("size"))
+    whole = cluster.select(F.col("node").alias("cid"), F.col("root").alias("home")).union(sized.select(F.col("root").alias("cid"), F.col("root").alias("home")))
+    sized = sized.select(F.col("root").alias("home"), (F.col("size") + 1).alias("size"))
+    own = placed.groupBy("cid").agg(F.min("root").alias("root"))
+    held = staged(whole.join(sized, "home").join(own, "cid").join(plain, "cid").join(sets, "cid").select("home", "size", "cid", "root", "n", "bits", "set"))
+    more = tiles(held, SETTLE_BLOCK).groupBy("home", "tile").applyInArrow(_settled(percent, likely, how.slots), "a long, b long")
     linked = components(edges.union(more))
     named = classes.join(linked.withColumnRenamed("node", "cid"), "cid", "left").select("k1", "k2", "low", F.coalesce("root", "cid").alias("root"))
     lows = named.groupBy("root").agg(F.min("low").alias("component_id"))
