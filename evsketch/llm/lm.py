@@ -7,7 +7,8 @@ bounded, hash-chosen sample of the labelled good ones. Their n-grams are counted
 counts of each order, the continuation counts and the number of followers met once, twice or more
 are sharded by context and joined, which gives the discounts and the interpolated probabilities.
 The table is shipped to the workers once, every document of the corpus is scored whole in one
-narrow pass, and each language's threshold is a quantile of its trusted documents' perplexity.
+narrow pass, and each language's threshold is a quantile of its trusted documents' perplexity
+(times ``Model.margin``).
 
 Defined cases: null or empty texts have no perplexity and are not kept; a language without trusted
 text is scored and judged by the model of all trusted text; a null language counts as such a
@@ -55,11 +56,12 @@ _CLASS = _classes()
 class Model:
     """Order, sample bounds and the quantile that sets a language's threshold."""
 
-    order: int = 4
+    order: int = 3
     trusted_rows: int = 6_000
     languages: int = 16
     least_rows: int = 20
     quantile: float = 0.999
+    margin: float = 1.25  # the quantile is of text that the model may have seen
 
 
 def symbols(body: np.ndarray) -> np.ndarray:
@@ -192,7 +194,7 @@ def judge(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
     limits = trusted.groupBy("model").agg(F.percentile_approx("perplexity", how.quantile, 10_000).alias("threshold"))
     everything = trusted.agg(F.percentile_approx("perplexity", how.quantile, 10_000).alias("pooled"))
     judged = scored.join(F.broadcast(limits), "model", "left").crossJoin(F.broadcast(everything))  # a row a model, and one row
-    judged = judged.withColumn("threshold", F.coalesce("threshold", "pooled", F.lit(float("inf"))))
+    judged = judged.withColumn("threshold", F.lit(how.margin) * F.coalesce("threshold", "pooled", F.lit(float("inf"))))
     kept = F.col("perplexity") <= F.col("threshold")
     if not model:
         kept = F.lit(True)
