@@ -4,6 +4,9 @@ Quality rules drop documents, near-dedup keeps one document of each group, suffi
 passages that an earlier document has, PII is generalised, and best-fit packing places what is left
 in sequences. Every stage but the last returns the columns of its input; each one's result is
 written as Parquet and read again as the next one's.
+
+Defined cases: null and empty texts fail the quality rules; repeated rows of one doc_id are one
+document and stay or go together; an empty table gives no rows; other columns are passed through.
 """
 
 from __future__ import annotations
@@ -12,6 +15,7 @@ import uuid
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from evsketch.llm import minhash, packing, pii, quality, suffix
 from evsketch.llm.common import shared_dir, ship, table
@@ -30,14 +34,22 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return minhash.keep_one(docs)
 
 
+def measured(docs: DataFrame) -> DataFrame:
+    """n_chars, where there is such a column, follows the text that a stage has rewritten."""
+    if "n_chars" not in docs.columns:
+        return docs
+    kind = docs.schema["n_chars"].dataType
+    return docs.withColumn("n_chars", F.when(F.col("text").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(kind)))
+
+
 def suffix_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
-    return suffix.cut_repeats(docs)
+    return measured(suffix.cut_repeats(docs))
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship(spark)
-    return pii.sanitise(docs)
+    return measured(pii.sanitise(docs))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
