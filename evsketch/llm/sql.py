@@ -1,3 +1,74 @@
 """DuckDB oracles of the queries that SQL can express."""
 
-ORACLES: dict[str, str] = {}
+_WORD = r"[^\x20\x09-\x0D]+"
+_FOLD = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+
+
+def _count(pattern: str) -> str:
+    return f"length(regexp_extract_all(t, '{pattern}'))"
+
+
+_RULES = rf"""
+with d as (select doc_id, coalesce(text, '') as t from documents),
+base as (
+  select doc_id, t, regexp_extract_all(t, '{_WORD}') as w,
+         list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '{_WORD}')) as lines
+  from d
+),
+wins as (
+  select doc_id, i, array_to_string(w[i : i + 4], ' ') as win
+  from (select doc_id, w, unnest(range(1, greatest(1, len(w) - 3))) as i from base)
+),
+covered as (
+  select doc_id, count(distinct i + j) as n_repeat_words
+  from (select doc_id, i, count(*) over (partition by doc_id, win) as c from wins) cross join range(5) r(j)
+  where c > 1 group by doc_id
+),
+counts as (
+  select b.doc_id, cast(len(w) as bigint) as n_words, cast(coalesce(list_sum(list_transform(w, lambda x: length(x))), 0) as bigint) as word_chars,
+         cast({_count('[#*$%&|<>]')} as bigint) as n_symbols, cast(len(lines) - len(list_distinct(lines)) as bigint) as n_dup_lines, len(lines) as n_lines,
+         cast(coalesce(n_repeat_words, 0) as bigint) as n_repeat_words,
+         {_count('[A-Za-z]')} + {_count('[^\\x00-\\x7F]')} as letters, {_count('[A-Z]')} as capitals
+  from base b left join covered c on b.doc_id = c.doc_id
+),
+judged as (select *, n_words < 10 or 100 * n_repeat_words > 20 * n_words as base_failed from counts)
+select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
+       not (base_failed or 10 * n_symbols > n_words or (n_lines > 1 and 100 * n_dup_lines > 60 * n_lines)
+            or not (2 * n_words <= word_chars and word_chars <= 20 * n_words) or 4 * letters < word_chars or 2 * capitals > letters) as kept
+from judged
+"""
+
+_REACH = "reach(a, b) as (select id, id from nodes union select r.a, l.b from reach r join links l on r.b = l.a)"
+
+_VECTORS = f"""
+with recursive nodes as (select vec_id as id from embeddings),
+sound as (
+  select vec_id, label, cast(embedding as double[]) as e from embeddings
+  where label is not null and embedding is not null and len(embedding) > 0
+    and len(list_filter(embedding, lambda x: x is null or isnan(x) or isinf(x))) = 0 and len(list_filter(embedding, lambda x: x <> 0)) > 0
+),
+links as (
+  select a.vec_id as a, b.vec_id as b from sound a join sound b on a.label = b.label and a.vec_id <> b.vec_id and len(a.e) = len(b.e)
+  where list_cosine_similarity(a.e, b.e) >= 0.93
+),
+{_REACH}
+select id as vec_id, cast(coalesce(n, 0) as bigint) as n_links, component_id, id = component_id as kept
+from (select a as id, min(b) as component_id from reach group by a) left join (select a, count(*) as n from links group by a) using (id)
+""".replace("(select a, count(*) as n from links group by a) using (id)", "(select a as id, count(*) as n from links group by a) using (id)")
+
+_NEAR = rf"""
+with recursive nodes as (select doc_id as id from documents),
+words as (select doc_id, regexp_extract_all({_FOLD}, '{_WORD}') as w from documents),
+sets as (
+  select doc_id, case when len(w) = 1 then w else list_distinct(list_transform(range(1, greatest(1, len(w))), lambda i: w[i] || ' ' || w[i + 1])) end as s from words
+),
+sizes as (select doc_id, cast(len(s) as bigint) as n from sets),
+each as (select doc_id, unnest(s) as g from sets),
+pairs as (select a.doc_id as a, b.doc_id as b, count(*) as i from each a join each b on a.g = b.g and a.doc_id <> b.doc_id group by all),
+links as (select a, b from pairs join sizes x on a = x.doc_id join sizes y on b = y.doc_id where 100 * i >= 80 * (x.n + y.n - i)),
+{_REACH}
+select id as doc_id, n as n_shingles, component_id, id = component_id as kept
+from (select a as id, min(b) as component_id from reach group by a) r join sizes on id = doc_id
+"""
+
+ORACLES: dict[str, str] = {"op4_quality_rules": _RULES, "op5_embedding_dedup": _VECTORS, "op9_near_dedup": _NEAR}
