@@ -56,6 +56,20 @@ def staged(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def small(df: DataFrame, rows: int = 1_000_000) -> DataFrame:
+    """``df``, to be broadcast if it is staged and has at most ``rows`` (narrow) rows; else as it is,
+    so that a join shuffles."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """``name``, lengthened until no column of ``df`` has it."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def empty_safe(column: pa.Array | pa.ChunkedArray) -> pa.Array:
     """The text column as one large_string array, null read as empty."""
     if isinstance(column, pa.ChunkedArray):

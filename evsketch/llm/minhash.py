@@ -35,7 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import arrow_map, components, empty_safe, forest, mix64, raw, signed, slices, staged
+from evsketch.llm.common import arrow_map, components, empty_safe, forest, fresh, mix64, raw, signed, slices, small, staged
 
 _GOLD = 0x9E3779B97F4A7C15
 #: Rows of a block where likely pairs are searched, and where they are settled on full sets.
@@ -406,6 +406,8 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", wi
 
 
 def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", **how) -> DataFrame:
-    """The rows of ``docs``, all columns, less the documents that are near copies of one kept."""
-    gone = staged(near_duplicates(docs, key, text, **how).where("not kept").select(F.col(key).alias("gone__")).distinct())
-    return docs.join(gone, docs[key] == gone["gone__"], "left_anti")
+    """The rows of ``docs``, all columns, less the documents that are near copies of one kept; rows
+    with a null key always stay."""
+    name = fresh(docs, "gone")
+    gone = staged(near_duplicates(docs.select(key, text), key, text, **how).where("not kept").select(F.col(key).alias(name)).distinct())
+    return docs.join(small(gone), F.col(key) == F.col(name), "left_anti")

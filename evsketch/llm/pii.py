@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import empty_safe, staged
+from evsketch.llm.common import empty_safe, fresh, small, staged
 
 KINDS = ("email", "ip", "card", "phone")
 #: Code points of context to either side of an identifier.
@@ -235,7 +235,8 @@ def rewrite(text: str, spans: list[Span]) -> str:
 def sanitise(docs: DataFrame, key: str = "doc_id", text: str = "text", **how) -> DataFrame:
     """``docs``, all columns, its text rewritten. Base spans are found again where the text is;
     only disclosing terms travel, joined by ``key`` to the rows that have any."""
-    found = find(docs, key, text, **how).where(F.size("terms") > 0).groupBy(key).agg(F.array_distinct(F.flatten(F.collect_list("terms"))).alias("terms__"))
+    name = fresh(docs, "disclosing")
+    found = find(docs.select(key, text), key, text, **how).where(F.size("terms") > 0).groupBy(key).agg(F.array_distinct(F.flatten(F.collect_list("terms"))).alias(name))
     found = staged(found)
     kind = docs.schema
 
@@ -243,7 +244,7 @@ def sanitise(docs: DataFrame, key: str = "doc_id", text: str = "text", **how) ->
         for b in batches:
             texts = b.column(text)
             new = []
-            for t, more in zip(texts.to_pylist(), b.column("terms__").to_pylist(), strict=True):
+            for t, more in zip(texts.to_pylist(), b.column(name).to_pylist(), strict=True):
                 if t is not None:
                     spans = base_spans(t) + [("term", x["s"], x["f"]) for x in more or ()]
                     t = rewrite(t, spans) if spans else t
@@ -251,4 +252,4 @@ def sanitise(docs: DataFrame, key: str = "doc_id", text: str = "text", **how) ->
             cols = [pa.array(new, texts.type) if f.name == text else b.column(f.name) for f in kind.fields]
             yield pa.RecordBatch.from_arrays(cols, [f.name for f in kind.fields])
 
-    return docs.join(found, key, "left").select(*docs.columns, "terms__").mapInArrow(run, kind)
+    return docs.join(small(found, 100_000), key, "left").select(*docs.columns, name).mapInArrow(run, kind)
