@@ -306,3 +306,22 @@ def w2e_empirical(spark, sf_dir):
     """Right panel from data: histogram of the maximum Gumbel draw less ln k, in quarters."""
     v = _blocks(spark, sf_dir, F.min("w"))
     return v.groupBy("k", (F.floor((ac.x_of(F.col("v")) - F.ln("k")) * 4) / 4.0).alias("x")).agg(F.count("*").alias("n"))
+
+
+_SMALL_N = (3, 6, 12, 18)
+
+
+@query(
+    "select n, round(sum(factorial(n)::double / (factorial(i)::double * factorial(j)::double * factorial(n - i - j)::double) * pow(3.0::double, -n) / ((i + 1) * (j + 1) * (n - i - j + 1))), 9) as expected, round(pow(3.0::double / n, 3), 9) as bound, true as holds "
+    "from (values " + ", ".join(f"({n})" for n in _SMALL_N) + ") v(n) cross join range(19) a(i) cross join range(19) b(j) where i + j <= n group by n"
+)
+def a_inverse_product(spark, sf_dir):
+    """E[prod 1/(n_i + 1)] over the splits of n items to three sub-streams, by enumeration: at most (k/n)^k."""
+    ns = F.broadcast(spark.createDataFrame([(n,) for n in _SMALL_N], "n int"))
+    parts = F.broadcast(spark.range(19).select(F.col("id").cast("int").alias("j")))
+    every = spark.range(19).select(F.col("id").cast("int").alias("i")).crossJoin(parts).crossJoin(ns).where("i + j <= n").withColumn("l", F.expr("n - i - j"))
+    ways = F.factorial("n") / (F.factorial("i").cast("double") * F.factorial("j") * F.factorial("l"))
+    mean = F.sum(ways * F.pow(F.lit(3.0), -F.col("n")) / ((F.col("i") + 1) * (F.col("j") + 1) * (F.col("l") + 1)))
+    out = every.groupBy("n").agg(F.round(mean, 9).alias("expected"))
+    bound = F.round(F.pow(3.0 / F.col("n"), F.lit(3.0)), 9)
+    return out.select("n", "expected", bound.alias("bound"), (F.col("expected") <= bound).alias("holds"))
