@@ -312,7 +312,7 @@ _SMALL_N = (3, 6, 12, 18)
 
 
 @query(
-    "select n, round(sum(factorial(n)::double / (factorial(i)::double * factorial(j)::double * factorial(n - i - j)::double) * pow(3.0::double, -n) / ((i + 1) * (j + 1) * (n - i - j + 1))), 9) as expected, round(pow(3.0::double / n, 3), 9) as bound, true as holds "
+    "select n, round(sum(factorial(n)::double / (factorial(i::integer)::double * factorial(j::integer)::double * factorial((n - i - j)::integer)::double) * pow(3.0::double, -n) / ((i + 1) * (j + 1) * (n - i - j + 1))), 9) as expected, round(pow(3.0::double / n, 3), 9) as bound, true as holds "
     "from (values " + ", ".join(f"({n})" for n in _SMALL_N) + ") v(n) cross join range(19) a(i) cross join range(19) b(j) where i + j <= n group by n"
 )
 def a_inverse_product(spark, sf_dir):
