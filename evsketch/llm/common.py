@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
@@ -15,7 +16,11 @@ from pyspark.sql import functions as F
 
 #: Bytes of text that a Python worker handles as one numpy slice.
 SLICE_BYTES = 1 << 20
-MASK64 = (1 << 64) - 1
+
+try:  # glibc only
+    _TRIM = ctypes.CDLL(None).malloc_trim
+except (AttributeError, OSError):
+    _TRIM = None
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -95,11 +100,26 @@ def slices(off: np.ndarray, limit: int = SLICE_BYTES) -> Iterator[tuple[int, int
         a = min(b, n)
 
 
+def give_back() -> None:
+    """Returns a worker's free memory to the system: workers are kept between stages."""
+    pa.default_memory_pool().release_unused()
+    if _TRIM:
+        _TRIM(0)
+
+
+def released(batches):
+    """The batches; between two of them free memory is given back."""
+    for batch in batches:
+        yield batch
+        del batch
+        give_back()
+
+
 def arrow_map(df: DataFrame, fn: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch] | pa.RecordBatch], schema: str) -> DataFrame:
     """mapInArrow for a function of one batch."""
 
     def run(batches):
-        for batch in batches:
+        for batch in released(batches):
             if batch.num_rows:
                 out = fn(batch)
                 if isinstance(out, pa.RecordBatch):

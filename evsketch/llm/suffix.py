@@ -7,18 +7,18 @@ maximal repeat group with all its occurrences, neighbours or not.
 
 For a corpus the suffixes are dealt out by anchors. An anchor is the 16-byte string of least hash in
 a 50-byte window, so equal windows have equal anchors, and only places that share an anchor need a
-common suffix array. Four narrow passes:
-
-1. anchor hashes of each document, packed and dealt by hash range, give those that occur in two
-   documents or more; they are noted in a bitmap of fixed size (it only spares work: a full bitmap
-   gives the same result);
-2. each noted anchor's context (the windows it stands for) is emitted once per worker and content;
-   equal contexts are aggregated to their first document before anything is grouped;
-3. the contexts of an anchor meet in one task, whose suffix array covers a bounded batch of them;
-   its intervals say which bytes of each context occur in an earlier document. Anchors with more
-   than ``HOT`` different contexts are settled by aggregating their windows instead;
-4. these spans go back to the documents that hold the context, and from those documents, told by
-   another bitmap, the bytes are cut.
+common suffix array. Documents of equal text are found first by hash; all but the first of them go
+whole and are not read further. Then, in narrow passes over the rest:
+
+1. anchor hashes of each document, packed and dealt by hash range, give those that two documents or
+   more share and those that more than ``HOT`` do, noted in two bitmaps of fixed size (they only
+   spare or route work: full bitmaps give the same result);
+2. a noted anchor's context (the windows it stands for) goes to the task of its anchor, whose suffix
+   array covers a bounded batch of different contexts; its intervals say which bytes of each context
+   occur in an earlier document;
+3. contexts of hot anchors are aggregated by content, then by window, and joined back, so no task
+   holds all documents of a common passage;
+4. the spans go back to their documents, told by another bitmap, and the bytes are cut.
 
 Defined cases: null or empty texts have no bytes and lose none; texts shorter than a window lose
 none; rows that share a key are one document and never remove each other's bytes; a null key is
@@ -32,22 +32,25 @@ from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
-import xxhash
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import empty_safe, mix64, raw, slices, staged
+from evsketch.llm.common import empty_safe, fresh, mix64, raw, released, slices, staged
 
 LEAST = 50
 ANCHOR = 16
-#: log2 of the bits that note repeated anchors, and of those that note changed documents; fixed.
-ANCHOR_BITS, CHANGED_BITS = 27, 23
+#: log2 of the bits that note repeated anchors, hot anchors, and documents; fixed.
+ANCHOR_BITS, HOT_BITS, CHANGED_BITS = 27, 23, 23
 #: Anchors that a worker gathers before it writes them out.
-FLUSH = 3_000_000
-#: Contexts of one anchor that meet in a suffix array; beyond, windows are aggregated.
-HOT = 4_000
+FLUSH = 1_000_000
+#: Documents of one anchor that meet in a suffix array (its memory is about 6 kB a context); beyond,
+#: windows are aggregated.
+HOT = 20_000
+#: Bytes of runs (as counted in _both) that are broadcast.
+SMALL = 48 << 20
 #: Contexts in one suffix array.
-BATCH = 20_000
+BATCH = 10_000
 
 _BASE = 0x9E3779B97F4A7C15
 
@@ -172,12 +175,22 @@ def anchors(body: np.ndarray, cut: np.ndarray) -> tuple[np.ndarray, np.ndarray,
     return np.flatnonzero(best[: len(h)] == h), h, low
 
 
+def names_of(h: np.ndarray) -> np.ndarray:
+    """Anchors' names: their hashes mixed again, as hashes that are least in a window are small."""
+    return mix64(h ^ np.uint64(0x5851F42D4C957F2D))
+
+
 def _texts(batch: pa.RecordBatch) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     body, off = raw(empty_safe(batch.column("text")))
     for a, b in slices(off, 1 << 19):
         yield a, body[off[a] : off[b]], off[a : b + 1] - off[a]
 
 
+def _tasks(df: DataFrame, ranges: int) -> int:
+    """Tasks that ranges are dealt to: the session's shuffle partitions or a quarter of the ranges, at most one a range."""
+    return max(1, min(ranges, max(ranges // 4, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))))
+
+
 # -- pass 1: anchors of two documents or more ------------------------------------------------
 
 
@@ -191,10 +204,16 @@ def _unpack(packed: bytes) -> np.ndarray:
     return out.view("<u8").ravel()
 
 
-def repeated_anchors(docs: DataFrame, ranges: int) -> bytes:
-    """The bitmap (2**ANCHOR_BITS bits) of the anchors that two documents share."""
+def repeated_anchors(docs: DataFrame, keep, ranges: int, most: int = HOT) -> tuple[bytes, bytes]:
+    """Bitmaps of the anchors that two documents share (2**ANCHOR_BITS bits), and that more than ``most`` do."""
     log = max(6, min(16, (ranges - 1).bit_length()))
 
+    def bits_of(values: np.ndarray, r: int, wide: int) -> bytes:
+        bits = np.zeros(1 << (wide - log - 3), np.uint8)
+        at = (values >> np.uint64(40 - wide)) - (np.uint64(r) << np.uint64(wide - log))
+        np.bitwise_or.at(bits, (at >> np.uint64(3)).astype(np.int64), np.left_shift(np.uint8(1), (at & np.uint64(7)).astype(np.uint8)))
+        return bits.tobytes()
+
     def gather(batches):
         held: list[np.ndarray] = []
         size = 0
@@ -207,12 +226,12 @@ def repeated_anchors(docs: DataFrame, ranges: int) -> bytes:
             held.clear()
             return pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array([_pack(every[bounds[r] : bounds[r + 1]]) for r in some], pa.binary())], ["range", "packed"])
 
-        for batch in batches:
+        for batch in map(keep, released(batches)):
             for _, body, cut in _texts(batch):
                 at, h, _ = anchors(body, cut)
                 owner = np.searchsorted(cut, at, "right").astype(np.uint64)
                 # once per document: sort by (hash, owner), drop equals
-                v = h[at] >> np.uint64(24)
+                v = names_of(h[at]) >> np.uint64(24)
                 order = np.lexsort((owner, v))
                 v, owner = v[order], owner[order]
                 first = np.ones(len(v), bool)
@@ -232,10 +251,8 @@ def repeated_anchors(docs: DataFrame, ranges: int) -> bytes:
             v = np.concatenate(parts.pop(r))
             v.sort()
             twice = v[1:][v[1:] == v[:-1]]
-            bits = np.zeros(1 << (ANCHOR_BITS - log - 3), np.uint8)
-            at = (twice >> np.uint64(40 - ANCHOR_BITS)) - (np.uint64(r) << np.uint64(ANCHOR_BITS - log))
-            np.bitwise_or.at(bits, (at >> np.uint64(3)).astype(np.int64), np.left_shift(np.uint8(1), (at & np.uint64(7)).astype(np.uint8)))
-            return pa.RecordBatch.from_arrays([pa.array([r], pa.int32()), pa.array([bits.tobytes()], pa.binary())], ["range", "bits"])
+            often = v[most:][v[most:] == v[: len(v) - most]] if len(v) > most else v[:0]
+            return pa.RecordBatch.from_arrays([pa.array([r], pa.int32()), pa.array([bits_of(twice, r, ANCHOR_BITS)], pa.binary()), pa.array([bits_of(often, r, HOT_BITS)], pa.binary())], ["range", "bits", "hot"])
 
         for batch in batches:  # sorted by range
             for r, packed in zip(batch.column("range").to_pylist(), batch.column("packed").to_pylist(), strict=True):
@@ -245,32 +262,74 @@ def repeated_anchors(docs: DataFrame, ranges: int) -> bytes:
         for r in list(parts):
             yield marked(r)
 
-    dealt = docs.select("text").mapInArrow(gather, "range int, packed binary").repartition(1 << log, "range").sortWithinPartitions("range")
-    out = bytearray(1 << (ANCHOR_BITS - 3))
-    step = 1 << (ANCHOR_BITS - log - 3)
-    for r in dealt.mapInArrow(mark, "range int, bits binary").collect():  # 2**ANCHOR_BITS bits in all
-        out[r.range * step : (r.range + 1) * step] = r.bits
-    return bytes(out)
+    dealt = docs.mapInArrow(gather, "range int, packed binary").repartition(_tasks(docs, 1 << log), "range").sortWithinPartitions("range")
+    some, hot = bytearray(1 << (ANCHOR_BITS - 3)), bytearray(1 << (HOT_BITS - 3))
+    for r in dealt.mapInArrow(mark, "range int, bits binary, hot binary").collect():  # fixed bits in all
+        for out, part in ((some, r.bits), (hot, r.hot)):
+            out[r.range * len(part) : (r.range + 1) * len(part)] = part
+    return bytes(some), bytes(hot)
+
+
+def _has(bits: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Whether the bitmap has each position (uint64)."""
+    return (bits[(at >> np.uint64(3)).astype(np.int64)] >> (at & np.uint64(7)).astype(np.uint8)) & 1 == 1
 
 
 # -- pass 2: contexts ------------------------------------------------------------------------
 
+#: Contexts that a worker gathers before it writes them out.
+HELD = 100_000
+
+
+def _blob(kh, doc, th, at, ctx: list[bytes]) -> bytes:
+    """Rows of contexts, column by column, compressed."""
+    size = np.fromiter(map(len, ctx), np.uint8, len(ctx))
+    parts = [np.array([len(ctx)], np.int64), kh, doc, th, at.astype(np.int32), size]
+    return zstandard.ZstdCompressor(level=5).compress(b"".join([x.tobytes() for x in parts] + ctx))
+
+
+def _rows(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, list[bytes]]:
+    body = zstandard.ZstdDecompressor().decompress(blob)
+    n = int(np.frombuffer(body, np.int64, 1)[0])
+    kh, doc, th = (np.frombuffer(body, np.int64, n, 8 + 8 * n * i) for i in range(3))
+    at, size = np.frombuffer(body, np.int32, n, 8 + 24 * n), np.frombuffer(body, np.uint8, n, 8 + 28 * n)
+    ends = (8 + 29 * n + np.cumsum(size, dtype=np.int64)).tolist()
+    return kh, doc, th, at, [body[e - z : e] for e, z in zip(ends, size.tolist(), strict=True)]
 
-def contexts(docs: DataFrame, noted: bytes) -> DataFrame:
-    """Rows (kh, cx, doc, th, at, ctx): each noted anchor's context; ``ctx`` only where the worker
-    has not just written that context."""
+
+def contexts(docs: DataFrame, keep, noted: tuple[bytes, bytes], ranges: int, common: bool) -> DataFrame:
+    """Contexts of the noted anchors: packed by hash range (range, blob); or, with ``common``, those of
+    hot anchors, a row each (doc, th, at, ctx)."""
     holder = docs.sparkSession.sparkContext.broadcast(noted)
     span = LEAST - ANCHOR + 1
+    log = (ranges - 1).bit_length()
 
     def run(batches):
-        bits = np.frombuffer(holder.value, np.uint8)
-        written: set[int] = set()
-        for batch in batches:
-            keys = batch.column("doc")
+        some, often = (np.frombuffer(x, np.uint8) for x in holder.value)
+        held: list[tuple] = []
+        size = 0
+
+        def flushed():
+            kh, doc, th, at = (np.concatenate([h[i] for h in held]) for i in range(4))
+            ctx = [c for h in held for c in h[4]]
+            held.clear()
+            to = (kh.view(np.uint64) >> np.uint64(64 - log)).astype(np.int64) if log else np.zeros(len(kh), np.int64)
+            order = np.argsort(to, kind="stable")
+            some_, first = np.unique(to[order], return_index=True)
+            bounds = [*first.tolist(), len(order)]
+            blobs = []
+            for i, j in zip(bounds, bounds[1:], strict=False):
+                o = order[i:j]
+                blobs.append(_blob(kh[o], doc[o], th[o], at[o], [ctx[x] for x in o.tolist()]))
+            return pa.RecordBatch.from_arrays([pa.array(some_.astype(np.int32)), pa.array(blobs, pa.binary())], ["range", "blob"])
+
+        for batch in map(keep, released(batches)):
+            keys, marks = batch.column("doc").to_numpy(), batch.column("th").to_numpy()
             for a, body, cut in _texts(batch):
                 at, h, low = anchors(body, cut)
-                pos = h[at] >> np.uint64(64 - ANCHOR_BITS)
-                at = at[(bits[(pos >> np.uint64(3)).astype(np.int64)] >> (pos & np.uint64(7)).astype(np.uint8)) & 1 == 1]
+                name = names_of(h[at])
+                wanted = _has(some, name >> np.uint64(64 - ANCHOR_BITS)) & (_has(often, name >> np.uint64(64 - HOT_BITS)) == common)
+                at, name = at[wanted], name[wanted]
                 if not len(at):
                     continue
                 padded = np.concatenate([np.zeros(span - 1, np.uint64), low, np.zeros(span, np.uint64)])
@@ -279,38 +338,31 @@ def contexts(docs: DataFrame, noted: bytes) -> DataFrame:
                 last = at - own[:, ::-1].argmax(axis=1)
                 owner = np.searchsorted(cut, at, "right") - 1
                 whole = body.tobytes()
-                names: dict[int, int] = {}
-                for o in np.unique(owner).tolist():
-                    t = xxhash.xxh64_intdigest(whole[cut[o] : cut[o + 1]])
-                    names[o] = t - (1 << 64) if t >> 63 else t
-                cx, ctx = [], []
-                for i, j in zip(first.tolist(), last.tolist(), strict=True):
-                    c = whole[i : j + LEAST]
-                    x = xxhash.xxh3_64_intdigest(c)
-                    if x in written:
-                        ctx.append(None)
-                    else:
-                        if len(written) > 400_000:
-                            written.clear()
-                        written.add(x)
-                        ctx.append(c)
-                    cx.append(x - (1 << 64) if x >> 63 else x)
-                doc = keys.take(pa.array(a + owner))
-                th = pa.array([names[o] for o in owner.tolist()], pa.int64())
-                yield pa.RecordBatch.from_arrays([pa.array(h[at].view(np.int64)), pa.array(cx, pa.int64()), doc, th, pa.array(first - cut[owner], pa.int64()), pa.array(ctx, pa.binary())], ["kh", "cx", "doc", "th", "at", "ctx"])
-
-    return docs.mapInArrow(run, "kh long, cx long, doc long, th long, at long, ctx binary")
+                ctx = [whole[i : j + LEAST] for i, j in zip(first.tolist(), last.tolist(), strict=True)]
+                kh, doc, th, begin = name.view(np.int64), keys[a + owner], marks[a + owner], (first - cut[owner]).astype(np.int32)
+                if common:
+                    yield pa.RecordBatch.from_arrays([pa.array(doc), pa.array(th), pa.array(begin), pa.array(ctx, pa.binary())], ["doc", "th", "at", "ctx"])
+                    continue
+                held.append((kh, doc, th, begin, ctx))
+                size += len(kh)
+                if size >= HELD:
+                    yield flushed()
+                    size = 0
+        if size:
+            yield flushed()
+
+    return docs.mapInArrow(run, "doc long, th long, at int, ctx binary" if common else "range int, blob binary")
 
 
 # -- pass 3: suffix arrays of contexts -------------------------------------------------------
 
 
-def _words(rows: np.ndarray, starts: np.ndarray, ends: np.ndarray, flat: np.ndarray, words: int) -> list[np.ndarray]:
-    """Big-endian 8-byte words of the suffixes, zero beyond their ends (bytes are stored plus one)."""
+def _words(starts: np.ndarray, ends: np.ndarray, flat: np.ndarray, words: int) -> list[np.ndarray]:
+    """The suffixes as sort keys, seven bytes a word, zero beyond their ends (bytes are stored plus one)."""
     out = []
     for w in range(words):
         key = np.zeros(len(starts), np.uint64)
-        for b in range(7):  # seven 9-bit bytes a word
+        for b in range(7):
             p = starts + 7 * w + b
             live = p < ends
             key = key * np.uint64(512) + np.where(live, flat[np.minimum(p, len(flat) - 1)] + np.uint64(1), np.uint64(0))
@@ -318,8 +370,8 @@ def _words(rows: np.ndarray, starts: np.ndarray, ends: np.ndarray, flat: np.ndar
     return out
 
 
-def covered(ctx: Sequence[bytes], first: np.ndarray) -> list[tuple[int, int, int, int]]:
-    """(context, start, length, document): bytes of a context that occur in the earlier document.
+def covered(ctx: Sequence[bytes], first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(context, start, end) as arrays: runs of a context whose windows occur in an earlier document.
 
     ``first`` is the first document of each context. The suffixes that start a window of some
     context are sorted; the intervals of their common prefixes are repeat groups.
@@ -330,24 +382,29 @@ def covered(ctx: Sequence[bytes], first: np.ndarray) -> list[tuple[int, int, int
     many = size - LEAST + 1
     row = np.repeat(np.arange(len(ctx)), many)
     starts = base[row] + np.arange(len(row)) - np.repeat(np.cumsum(many) - many, many)
+    h, base_, width, built = flat + np.uint64(1), _BASE, 1, None
+    need = LEAST  # hash of every LEAST bytes of the flat text, by doubling
+    while need:
+        if need & 1:
+            built = h if built is None else built[: len(built) - width] * np.uint64(base_) + h[len(flat) - len(built) + 1 :][: len(built) - width]
+        need >>= 1
+        if need:
+            h = h[:-width] * np.uint64(base_) + h[width:]
+            base_ = base_ * base_ & 0xFFFFFFFFFFFFFFFF
+            width *= 2
+    same = mix64(built)[starts]
+    order = np.argsort(same, kind="stable")
+    twin = np.zeros(len(order), bool)
+    twin[1:] = same[order[1:]] == same[order[:-1]]
+    twin[:-1] |= twin[1:]
+    live = order[twin]  # windows that are alone start no repeat
+    if not len(live):
+        return (np.zeros(0, np.int64),) * 3
+    live.sort()
+    row, starts = row[live], starts[live]
     ends = (base + size)[row]
-    head = -(-LEAST // 7)
-    keys = _words(row, starts, ends, flat, head)
-    order = np.lexsort(keys[::-1])
-    same = np.ones(len(order), bool)
-    same[:1] = False
-    for k in keys[:-1]:
-        same[1:] &= k[order[1:]] == k[order[:-1]]
-    spare = np.uint64(512 ** (7 * head - LEAST))
-    same[1:] &= keys[-1][order[1:]] // spare == keys[-1][order[:-1]] // spare
-    live = same.copy()
-    live[:-1] |= same[1:]
-    order = order[live]
-    if not len(order):
-        return []
-    row, starts, ends = row[order], starts[order], ends[order]
     longest = int((ends - starts).max())
-    keys = _words(row, starts, ends, flat, -(-longest // 7))
+    keys = _words(starts, ends, flat, -(-longest // 7))
     order = np.lexsort(keys[::-1])
     row, starts, ends = row[order], starts[order], ends[order]
     common = np.zeros(len(order), np.int64)
@@ -361,64 +418,98 @@ def covered(ctx: Sequence[bytes], first: np.ndarray) -> list[tuple[int, int, int
     inner = starts > base[row]
     before = np.where(inner, flat[np.maximum(starts - 1, 0)].astype(np.int64), -1 - row)
     by = first[row]
-    out = []
+    best = np.zeros(len(row), np.int64)  # longest repeat from each suffix that an earlier document has
     for length, lo, hi in intervals(common.tolist(), LEAST):
         left = before[lo : hi + 1]
         if (left == left[0]).all():
             continue  # the same repeat, one byte further left, covers this one
         docs = by[lo : hi + 1]
-        least = docs.min()
-        for i in np.flatnonzero(docs > least).tolist():
-            out.append((int(row[lo + i]), int(starts[lo + i] - base[row[lo + i]]), length, int(least)))
-    return out
-
-
-def earlier(found: DataFrame) -> DataFrame:
-    """(kh, cx, spans): what each context's documents lose, as array<struct<a, n, f>>: bytes
-    [a, a+n) go from documents later than f."""
-    kinds = found.groupBy("kh", "cx").agg(F.min("doc").alias("first"), F.max("doc").alias("last"), F.max("ctx").alias("ctx")).where("first is not null")
-    kinds = staged(kinds)
-    whole = F.array(F.struct(F.lit(0).alias("a"), F.length("ctx").alias("n"), F.col("first").alias("f")))
-    own = kinds.where("last > first").select("kh", "cx", whole.alias("spans"))
-    many = staged(kinds.groupBy("kh").agg(F.count("*").alias("c")).where("c > 1"))
-    shared = kinds.join(many.where(F.col("c") <= HOT).select("kh"), "kh", "left_semi").select("kh", "cx", "first", "ctx")
+        np.maximum(best[lo : hi + 1], np.where(docs > docs.min(), length, 0), out=best[lo : hi + 1])
+    hit = np.flatnonzero(best)
+    start = starts[hit] - base[row[hit]]
+    return _runs(row[hit], start, start + best[hit])
+
+
+def _runs(name: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Spans [a, b) of the same name that touch, as one."""
+    order = np.lexsort((b, a, name))
+    name, a, b = name[order], a[order], b[order]
+    if not len(name):
+        return name, a, b
+    group = np.cumsum(np.concatenate([[0], name[1:] != name[:-1]])).astype(np.int64)
+    reach = np.maximum.accumulate(b + group * (1 << 40)) - group * (1 << 40)
+    at = np.flatnonzero(np.concatenate([[True], (group[1:] != group[:-1]) | (a[1:] > reach[:-1])]))
+    return name[at], a[at], np.maximum.reduceat(b, at)
+
+
+def _solve(kh, doc, th, at, body: list[bytes]) -> pa.RecordBatch:
+    """Spans (doc, th, a, b) of the documents of whole anchors."""
+    number: dict[bytes, int] = {}
+    kind = np.fromiter((number.setdefault(c, len(number)) for c in body), np.int64, len(body))
+    kinds = list(number)
+    first, anchor = np.full(len(kinds), np.iinfo(np.int64).max), np.zeros(len(kinds), np.int64)
+    np.minimum.at(first, kind, doc)
+    anchor[kind] = kh
+    size = np.fromiter(map(len, kinds), np.int64, len(kinds))
+    own = np.flatnonzero(doc > first[kind])  # the first document of a context keeps it, others don't
+    rows, starts, lengths = [own], [np.zeros(len(own), np.int64)], [size[kind[own]]]
+    _, back, many = np.unique(anchor, return_inverse=True, return_counts=True)
+    several = np.flatnonzero(many[back] > 1)
+    which, start, end = covered([kinds[i] for i in several.tolist()], first[several]) if len(several) else (several, several, several)
+    if len(which):
+        which = several[which]
+        order = np.argsort(kind, kind="stable")
+        lo, hi = np.searchsorted(kind[order], which, "left"), np.searchsorted(kind[order], which, "right")
+        n = hi - lo
+        rows.append(order[np.repeat(lo - (np.cumsum(n) - n), n) + np.arange(n.sum())])
+        starts.append(np.repeat(start, n))
+        lengths.append(np.repeat(end - start, n))
+    row, start, length = (np.concatenate(x) for x in (rows, starts, lengths))
+    a = at[row] + start
+    text, back = np.unique(np.stack([doc[row], th[row]], axis=1), axis=0, return_inverse=True)
+    name, a, b = _runs(back.ravel(), a, a + length)
+    return pa.RecordBatch.from_arrays([pa.array(text[name, 0]), pa.array(text[name, 1]), pa.array(a.astype(np.int32)), pa.array(b.astype(np.int32))], ["doc", "th", "a", "b"])
+
+
+def cold_spans(packed: DataFrame, ranges: int) -> DataFrame:
+    """(doc, th, a, b) from the packed contexts, a hash range at a time, whole anchors at a time."""
+
+    def solved(blobs: list[bytes]):
+        got = [_rows(b) for b in blobs]
+        kh, doc, th, at = (np.concatenate([g[i] for g in got]) for i in range(4))
+        ctx = [c for g in got for c in g[4]]
+        order = np.argsort(kh, kind="stable")
+        kh, doc, th, at, a = kh[order], doc[order], th[order], at[order], 0
+        order = order.tolist()
+        while a < len(kh):
+            b = int(np.searchsorted(kh, kh[min(a + BATCH, len(kh)) - 1], "right"))
+            yield _solve(kh[a:b], doc[a:b], th[a:b], at[a:b], [ctx[i] for i in order[a:b]])
+            a = b
 
     def run(batches):
-        held: list[pa.RecordBatch] = []
-        size = 0
-
-        def solved(table: pa.Table):
-            got = covered(table.column("ctx").to_pylist(), table.column("first").to_numpy())
-            at = pa.array([g[0] for g in got], pa.int64())
-            cols = [table.column("kh").combine_chunks().take(at), table.column("cx").combine_chunks().take(at), *(pa.array([g[i] for g in got], k) for i, k in ((1, pa.int32()), (2, pa.int32()), (3, pa.int64())))]
-            yield pa.RecordBatch.from_arrays(cols, ["kh", "cx", "a", "n", "f"])
-
-        for batch in batches:  # sorted by kh: a batch of whole anchors at a time
-            held.append(batch)
-            size += batch.num_rows
-            if size < BATCH:
-                continue
-            table = pa.Table.from_batches(held).combine_chunks()
-            kh = table.column("kh").to_numpy()
-            end = int(np.searchsorted(kh, kh[-1], "left"))  # the last anchor may go on
-            a = 0
-            while a < end:
-                b = end if end - a <= 2 * BATCH else int(np.searchsorted(kh, kh[min(a + BATCH, end - 1)], "right"))
-                b = min(b, end)
-                yield from solved(table.slice(a, b - a))
-                a = b
-            held, size = table.slice(end).to_batches(), len(kh) - end
-        if size:
-            yield from solved(pa.Table.from_batches(held))
-
-    dealt = shared.repartition("kh").sortWithinPartitions("kh")
-    cut = dealt.mapInArrow(run, "kh long, cx long, a int, n int, f long")
-    hot = kinds.join(many.where(F.col("c") > HOT).select("kh"), "kh", "left_semi")
-    windows = hot.select("kh", "cx", "first", "ctx", F.explode(F.sequence(F.lit(0), F.length("ctx") - LEAST)).alias("a")).withColumn("w", F.substring("ctx", F.col("a") + 1, F.lit(LEAST)))
-    firsts = windows.groupBy("w").agg(F.min("first").alias("f"))
-    late = windows.join(firsts, "w").where("first > f").select("kh", "cx", "a", F.lit(LEAST).alias("n"), "f")
-    apart = cut.union(late).groupBy("kh", "cx").agg(F.collect_list(F.struct("a", "n", "f")).alias("spans"))
-    return staged(own.union(apart))
+        here, held = None, []
+        for batch in released(batches):  # sorted by range
+            for r, blob in zip(batch.column("range").to_pylist(), batch.column("blob"), strict=True):
+                if r != here and held:
+                    yield from solved(held)
+                    held = []
+                here = r
+                held.append(blob.as_py())
+        if held:
+            yield from solved(held)
+
+    dealt = packed.repartition(_tasks(packed, ranges), "range").sortWithinPartitions("range")
+    return dealt.mapInArrow(run, "doc long, th long, a int, b int")
+
+
+def hot_spans(found: DataFrame) -> DataFrame:
+    """(doc, th, a, b) from the contexts of common anchors, by aggregation alone."""
+    kinds = staged(found.groupBy("ctx").agg(F.min("doc").alias("first")))
+    windows = kinds.select("ctx", "first", F.explode(F.sequence(F.lit(0), F.length("ctx") - LEAST)).alias("s")).withColumn("w", F.substring("ctx", F.col("s") + 1, F.lit(LEAST)))
+    firsts = staged(windows.groupBy("w").agg(F.min("first").alias("f")))
+    lost = staged(windows.join(firsts, "w").groupBy("ctx").agg(F.collect_list(F.struct("s", "f")).alias("lost")))
+    each = found.join(lost, "ctx").select("doc", "th", "at", F.explode("lost").alias("x")).where("doc > x.f")
+    return each.select("doc", "th", (F.col("at") + F.col("x.s")).alias("a"), (F.col("at") + F.col("x.s") + LEAST).alias("b"))
 
 
 # -- pass 4: the documents -------------------------------------------------------------------
@@ -434,81 +525,112 @@ def _merge(spans) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def spans(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+def _named(docs: DataFrame, key: str, text: str) -> DataFrame:
+    """(doc, text, th, t2): documents that have a window, their texts named by two hashes."""
+    t = F.col(text)
+    return docs.select(F.col(key).cast("long").alias("doc"), t.alias("text"), F.xxhash64(t).alias("th"), F.xxhash64(F.lit(7), t).alias("t2")).where(F.octet_length("text") >= LEAST)
+
+
+def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", hot: int = HOT) -> DataFrame:
     """(doc, th, cut): for each document that loses bytes, th the hash of its text, its merged runs
     as array<struct<a, b>>. Documents are named by key and text."""
-    source = docs.select(F.col(key).cast("long").alias("doc"), F.col(text).alias("text"))
-    noted = repeated_anchors(source, docs.rdd.getNumPartitions())
-    found = staged(contexts(source, noted))
-    lost = earlier(found)
-    places = found.select("kh", "cx", "doc", "th", "at").join(lost, ["kh", "cx"])
-    each = places.select("doc", "th", "at", F.explode("spans").alias("s")).where("doc > s.f").select("doc", "th", (F.col("at") + F.col("s.a")).alias("a"), (F.col("at") + F.col("s.a") + F.col("s.n")).alias("b"))
+    source = _named(docs, key, text)
+    names = source.select("doc", "th", "t2", F.octet_length("text").alias("n")).where("doc is not null")
+    copied = staged(names.groupBy("th", "t2", "n").agg(F.min("doc").alias("first"), F.max("doc").alias("last")).where("last > first"))
+    copies = bitmap(copied.select(F.col("th").alias("at")), CHANGED_BITS)
+    firsts = bitmap(copied.select(F.xxhash64("first", "th").alias("at")), CHANGED_BITS)
+    holder = docs.sparkSession.sparkContext.broadcast((copies, firsts))
+    mask = np.uint64((1 << CHANGED_BITS) - 1)
+
+    def keep(batch: pa.RecordBatch) -> pa.RecordBatch:
+        """Less the later copies: texts noted as copied in documents that aren't noted as first."""
+        copy, lead = (np.frombuffer(x, np.uint8) for x in holder.value)
+        th, own = (batch.column(c).to_numpy().view(np.uint64) & mask for c in ("th", "name"))
+        return batch.filter(pa.array(~_has(copy, th) | _has(lead, own)))
+
+    rest = source.where("doc is not null").select("doc", "text", "th", F.xxhash64("doc", "th").alias("name"))
+    parts = docs.rdd.getNumPartitions()
+    noted = repeated_anchors(rest, keep, parts, hot)
+    ranges = 1 << max(8, (4 * parts - 1).bit_length())
+    every = cold_spans(contexts(rest, keep, noted, ranges, False), ranges)
+    if any(noted[1]):
+        every = every.union(hot_spans(staged(contexts(rest, keep, noted, ranges, True))))
+    gone = names.join(copied, ["th", "t2", "n"]).where("doc > first").select("doc", "th", F.lit(0).alias("a"), F.col("n").alias("b"))
+    every = every.union(gone)
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         cut = [[{"a": a, "b": b} for a, b in _merge((x["a"], x["b"]) for x in xs)] for xs in batch.column("cut").to_pylist()]
         return pa.RecordBatch.from_arrays([batch.column("doc"), batch.column("th"), pa.array(cut, pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())])))], ["doc", "th", "cut"])
 
-    gathered = each.groupBy("doc", "th").agg(F.collect_set(F.struct("a", "b")).alias("cut"))
+    gathered = every.groupBy("doc", "th").agg(F.collect_set(F.struct("a", "b")).alias("cut"))
     return staged(gathered.mapInArrow(lambda bs: (run(b) for b in bs if b.num_rows), "doc long, th long, cut array<struct<a:long,b:long>>"))
 
 
-def text_hash(body: bytes) -> int:
-    t = xxhash.xxh64_intdigest(body)
-    return t - (1 << 64) if t >> 63 else t
-
-
-def changed_bitmap(lost: DataFrame) -> bytes:
-    """The bitmap (2**CHANGED_BITS bits) of the texts that lose bytes."""
-    at = F.expr(f"(th & {(1 << CHANGED_BITS) - 1}) + 1")  # Spark's bitmap functions count from 1
-    rows = lost.select(at.alias("at")).groupBy(F.bitmap_bucket_number(F.col("at")).alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(F.col("at"))).alias("bits")).collect()
-    out = bytearray(1 << (CHANGED_BITS - 3))
-    for r in rows:
+def bitmap(rows: DataFrame, wide: int) -> bytes:
+    """The bitmap of the low ``wide`` bits of column ``at``."""
+    at = F.expr(f"(at & {(1 << wide) - 1}) + 1")  # Spark's bitmap functions count from 1
+    parts = rows.select(at.alias("at")).groupBy(F.bitmap_bucket_number(F.col("at")).alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(F.col("at"))).alias("bits")).collect()
+    out = bytearray(1 << (wide - 3))
+    for r in parts:  # 2**(wide - 15) rows of 4 KiB at most
         out[(r.b - 1) * 4096 : r.b * 4096] = r.bits
     return bytes(out)
 
 
-def _split(docs: DataFrame, text: str, noted: bytes, changed: bool) -> DataFrame:
-    """Rows of ``docs`` whose text the bitmap notes (or not), with th."""
-    holder = docs.sparkSession.sparkContext.broadcast(noted)
+def _both(docs: DataFrame, key: str, text: str, fn, schema: str, hot: int) -> DataFrame:
+    """``fn(batch, cut)`` over all rows; cut is null where nothing goes. Runs of at most
+    SMALL bytes in all are broadcast; beyond that, texts that a bitmap doesn't note are done where
+    they are read and the others are joined to their runs."""
+    lost = spans(docs, key, text, hot)
+    n, m = lost.agg(F.count("*"), F.coalesce(F.sum(F.size("cut")), F.lit(0))).first()
+    th, cut_ = fresh(docs, "th"), fresh(docs, "cut")
+    doc_, th_ = fresh(docs, "doc2"), fresh(docs, "th2")
+    named = docs.withColumn(th, F.xxhash64(text))
+    cut = lost.select(F.col("doc").alias(doc_), F.col("th").alias(th_), F.col("cut").alias(cut_))
 
     def run(batches):
-        bits = np.frombuffer(holder.value, np.uint8)
-        for batch in batches:
-            th = [text_hash((t or "").encode()) for t in batch.column(text).to_pylist()]
-            at = np.array([t & ((1 << CHANGED_BITS) - 1) for t in th], np.int64)
-            keep = (bits[at >> 3] >> (at & 7).astype(np.uint8) & 1 == 1) == changed
-            out = pa.RecordBatch.from_arrays([*batch.columns, pa.array(th, pa.int64())], [*batch.schema.names, "th__"])
-            yield out.filter(pa.array(keep))
+        for b in released(batches):
+            if b.num_rows:
+                yield fn(b, b.column(cut_))
+
+    def joined(rows: DataFrame, runs_: DataFrame) -> DataFrame:
+        out = rows.join(runs_, (F.col(key).cast("long") == F.col(doc_)) & (F.col(th) == F.col(th_)), "left")
+        return out.select(*docs.columns, cut_).mapInArrow(run, schema)
 
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields)
-    return docs.mapInArrow(run, f"{fields}, th__ long")
+    if 64 * n + 32 * m <= SMALL:
+        return joined(named, F.broadcast(cut))
+    holder = docs.sparkSession.sparkContext.broadcast(bitmap(lost.select(F.col("th").alias("at")), CHANGED_BITS))
+    mask = np.uint64((1 << CHANGED_BITS) - 1)
+    runs = pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))
 
+    def noted(batch: pa.RecordBatch) -> np.ndarray:
+        return _has(np.frombuffer(holder.value, np.uint8), batch.column(th).to_numpy().view(np.uint64) & mask)
 
-def _both(docs: DataFrame, key: str, text: str, fn, schema: str) -> DataFrame:
-    """``fn(batch)`` over all rows, with column cut__ (null where nothing goes)."""
-    lost = spans(docs, key, text)
-    noted = changed_bitmap(lost)
-    named = lost.select(F.col("doc").alias("doc__"), F.col("th").alias("th__"), F.col("cut").alias("cut__"))
-    kept = _split(docs, text, noted, False).drop("th__").withColumn("cut__", F.lit(None).cast("array<struct<a:long,b:long>>"))
-    some = _split(docs, text, noted, True)
-    some = some.join(named, (some[key].cast("long") == named["doc__"]) & (some["th__"] == named["th__"]), "left").select(*[some[c] for c in docs.columns], "cut__")
-    run = lambda batches: (fn(b) for b in batches if b.num_rows)
-    return kept.mapInArrow(run, schema).union(some.mapInArrow(run, schema))
+    def same(batches):
+        for batch in batches:
+            batch = batch.filter(pa.array(~noted(batch)))
+            if batch.num_rows:
+                yield fn(batch, pa.nulls(batch.num_rows, runs))
+
+    def changed(batches):
+        for batch in batches:
+            yield batch.filter(pa.array(noted(batch)))
 
+    return named.mapInArrow(same, schema).union(joined(named.mapInArrow(changed, named.schema), cut))
 
-def digest(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+
+def digest(docs: DataFrame, key: str = "doc_id", text: str = "text", hot: int = HOT) -> DataFrame:
     """Per row: key, n_bytes, n_removed, n_spans and the hash of the bytes that stay."""
 
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+    def run(batch: pa.RecordBatch, cuts: pa.Array) -> pa.RecordBatch:
         rows = []
-        for t, cut in zip(batch.column(text).to_pylist(), batch.column("cut__").to_pylist(), strict=True):
+        for t, cut in zip(batch.column(text).to_pylist(), cuts.to_pylist(), strict=True):
             body = (t or "").encode()
             runs = [(x["a"], x["b"]) for x in cut or ()]
             rows.append((len(body), sum(b - a for a, b in runs), len(runs), hashlib.sha256(without(body, runs)).hexdigest()))
         cols = [pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.string()), strict=True)]
         return pa.RecordBatch.from_arrays([batch.column(key), *cols], [key, "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
-    return _both(docs.select(key, text), key, text, run, f"`{key}` {docs.schema[key].dataType.simpleString()}, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return _both(docs.select(key, text), key, text, run, f"`{key}` {docs.schema[key].dataType.simpleString()}, n_bytes long, n_removed long, n_spans long, kept_sha256 string", hot)
 
 
 def without(body: bytes, runs: Sequence[tuple[int, int]]) -> bytes:
@@ -532,13 +654,13 @@ def whole_characters(body: bytes, runs: Sequence[tuple[int, int]]) -> list[tuple
     return out
 
 
-def cut_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+def cut_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", hot: int = HOT) -> DataFrame:
     """``docs``, all columns, with the repeated bytes (whole characters of them) gone from its texts."""
     fields = docs.schema.fields
 
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+    def run(batch: pa.RecordBatch, cuts: pa.Array) -> pa.RecordBatch:
         column, new = batch.column(text), []
-        for t, cut in zip(column.to_pylist(), batch.column("cut__").to_pylist(), strict=True):
+        for t, cut in zip(column.to_pylist(), cuts.to_pylist(), strict=True):
             if t and cut:
                 body = t.encode()
                 t = without(body, whole_characters(body, [(x["a"], x["b"]) for x in cut])).decode()
@@ -546,4 +668,4 @@ def cut_repeats(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
         cols = [pa.array(new, column.type) if f.name == text else batch.column(f.name) for f in fields]
         return pa.RecordBatch.from_arrays(cols, [f.name for f in fields])
 
-    return _both(docs, key, text, run, ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in fields))
+    return _both(docs, key, text, run, ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in fields), hot)
