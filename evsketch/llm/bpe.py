@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from evsketch.llm.common import arrow_map, empty_safe
 
 #: Fragments a worker remembers, and the longest fragment that is worth remembering.
-CACHE_ENTRIES, CACHE_BYTES = 300_000, 40
+CACHE_ENTRIES, CACHE_BYTES = 200_000, 40
 
 _SPACES = (9, 10, 11, 12, 13, 32)
 

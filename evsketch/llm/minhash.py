@@ -35,7 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import arrow_map, components, empty_safe, forest, fresh, mix64, raw, signed, slices, small, staged
+from evsketch.llm.common import arrow_map, components, empty_safe, forest, fresh, mix64, raw, released, signed, slices, small, staged
 
 _GOLD = 0x9E3779B97F4A7C15
 #: Rows of a block where likely pairs are searched, and where they are settled on full sets.
@@ -67,7 +67,7 @@ class _Words(dict):
     """64-bit hash of each word, bounded."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 400_000:
+        if len(self) > 150_000:
             self.clear()
         h = self[word] = xxhash.xxh64_intdigest(word)
         return h
@@ -196,7 +196,7 @@ def full_sets(docs: DataFrame, text: str, width: int, wanted: bytes) -> DataFram
     def run(batches):
         bits = np.frombuffer(holder.value, np.uint8)
         done: set[tuple[int, int]] = set()
-        for batch in batches:
+        for batch in released(batches):
             rows = []
             for _, sets in _sets(batch, text, width):
                 for s in sets:

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import empty_safe, fresh, small, staged
+from evsketch.llm.common import empty_safe, fresh, released, small, staged
 
 KINDS = ("email", "ip", "card", "phone")
 #: Code points of context to either side of an identifier.
@@ -32,7 +32,7 @@ REACH = 80
 #: Terms of fewer letters are not counted.
 LEAST_LETTERS = 4
 #: Entries of a worker's term counter before it is written out.
-FLUSH = 500_000
+FLUSH = 200_000
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 _DOMAIN = re.compile(r"[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)+")
@@ -195,7 +195,7 @@ def _with_key(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
     def noted():
         nonlocal kind
-        for b in batches:
+        for b in released(batches):
             kind = b.schema.field("key").type
             keys.update(zip(b.column("row").to_pylist(), b.column("key").to_pylist(), strict=True))
             yield b
@@ -241,7 +241,7 @@ def sanitise(docs: DataFrame, key: str = "doc_id", text: str = "text", **how) ->
     kind = docs.schema
 
     def run(batches):
-        for b in batches:
+        for b in released(batches):
             texts = b.column(text)
             new = []
             for t, more in zip(texts.to_pylist(), b.column(name).to_pylist(), strict=True):

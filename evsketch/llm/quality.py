@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import arrow_map, empty_safe, raw, slices
+from evsketch.llm.common import arrow_map, empty_safe, raw, released, slices
 
 WINDOW = 5
 #: Bounded sample on which costs and selectivities are estimated.
@@ -215,4 +215,4 @@ def keep_good(docs: DataFrame, text: str = "text", rules: Sequence[Rule] | None
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         return batch.filter(pa.array([judge(ordered, t) for t in _texts(batch, text)], pa.bool_()))
 
-    return docs.mapInArrow(lambda batches: (run(b) for b in batches if b.num_rows), docs.schema)
+    return docs.mapInArrow(lambda batches: (run(b) for b in released(batches) if b.num_rows), docs.schema)
