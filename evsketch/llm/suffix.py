@@ -535,15 +535,23 @@ def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", hot: int = H
     """(doc, th, cut): for each document that loses bytes, th the hash of its text, its merged runs
     as array<struct<a, b>>. Documents are named by key and text."""
     source = _named(docs, key, text)
-    names = source.select("doc", "th", "t2", F.octet_length("text").alias("n")).where("doc is not null")
+    names = staged(source.select("doc", "th", "t2", F.octet_length("text").alias("n")).where("doc is not null"))
     copied = staged(names.groupBy("th", "t2", "n").agg(F.min("doc").alias("first"), F.max("doc").alias("last")).where("last > first"))
     copies = bitmap(copied.select(F.col("th").alias("at")), CHANGED_BITS)
-    firsts = bitmap(copied.select(F.xxhash64("first", "th").alias("at")), CHANGED_BITS)
-    holder = docs.sparkSession.sparkContext.broadcast((copies, firsts))
     mask = np.uint64((1 << CHANGED_BITS) - 1)
+    shared = docs.sparkSession.sparkContext.broadcast(copies)
+
+    def routed(batches):
+        for batch in batches:
+            yield batch.filter(pa.array(_has(np.frombuffer(shared.value, np.uint8), batch.column("th").to_numpy().view(np.uint64) & mask)))
+
+    # Which of the noted texts are later copies is settled exactly; all others are noted as read.
+    known = staged(names.mapInArrow(routed, names.schema).join(copied, ["th", "t2", "n"], "left").select("doc", "th", "n", "first"))
+    read = bitmap(known.where("first is null or doc <= first").select(F.xxhash64("doc", "th").alias("at")), CHANGED_BITS)
+    holder = docs.sparkSession.sparkContext.broadcast((copies, read))
 
     def keep(batch: pa.RecordBatch) -> pa.RecordBatch:
-        """Less the later copies: texts noted as copied in documents that aren't noted as first."""
+        """Less the later copies: a full bitmap lets some of them through, and never drops another text."""
         copy, lead = (np.frombuffer(x, np.uint8) for x in holder.value)
         th, own = (batch.column(c).to_numpy().view(np.uint64) & mask for c in ("th", "name"))
         return batch.filter(pa.array(~_has(copy, th) | _has(lead, own)))
@@ -555,7 +563,7 @@ def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", hot: int = H
     every = cold_spans(contexts(rest, keep, noted, ranges, False), ranges)
     if any(noted[1]):
         every = every.union(hot_spans(staged(contexts(rest, keep, noted, ranges, True))))
-    gone = names.join(copied, ["th", "t2", "n"]).where("doc > first").select("doc", "th", F.lit(0).alias("a"), F.col("n").alias("b"))
+    gone = known.where("doc > first").select("doc", "th", F.lit(0).alias("a"), F.col("n").alias("b"))
     every = every.union(gone)
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:

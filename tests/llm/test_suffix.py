@@ -56,6 +56,22 @@ def test_query_equals_brute_force(docs, monkeypatch, seed, hot, small):
     assert got == brute(rows)
 
 
+@pytest.mark.parametrize("bits", [3, 5])
+@pytest.mark.parametrize("seed", [1, 2])
+def test_crowded_bitmaps_lose_no_document(docs, monkeypatch, seed, bits):
+    monkeypatch.setattr(suffix, "CHANGED_BITS", bits)
+    rows = corpus(seed)
+    got = {r.doc_id: [tuple(r)[1:]] for r in suffix.digest(docs(rows)).collect()}
+    assert got == brute(rows)
+
+
+def test_text_that_shares_hash_bits_with_a_copy_is_read(docs):
+    copy, own = "copied passage " * 8, "unrelated unique document 8789736 with more than fifty bytes of its own text"
+    rows = [(1, copy), (2, copy), (3, own), (4, own + " and more")]
+    got = {r.doc_id: [tuple(r)[1:]] for r in suffix.digest(docs(rows)).collect()}
+    assert got == brute(rows) and got[4][0][1] == len(own)
+
+
 def test_repeated_keys_nulls_and_empty(docs):
     t = "".join(chr(97 + i * i % 23) for i in range(120))
     rows = [(1, t), (1, t), (None, t), (2, t + "zz"), (3, None)]
