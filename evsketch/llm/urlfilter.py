@@ -3,8 +3,8 @@
 Native: DataFrame and SQL functions only. URLs are tokenised into host labels, path segments and
 query keys. URLs that a stated rule decides are the labels; FP-growth over (tokens + verdict)
 finds frequent combinations, association rules whose consequent is a verdict are pruned by support
-and confidence, and the survivors (a bounded number) form an inverted index from a rule's first
-token to the rule. A URL without a stated rule takes the verdict of the best mined rule whose
+and confidence, redundant ones go, and all others form an inverted index from a rule's first token
+to the rule: a constant of the plan while they are few, else a table. A URL without a stated rule takes the verdict of the best mined rule whose
 tokens it all has, else the default.
 
 Defined cases: a null URL, or one without ``://``, has empty host and path, no tokens and gets the
@@ -21,6 +21,8 @@ from pyspark.ml.fpm import FPGrowth
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from evsketch.llm.common import staged
+
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _PARTS = r"(?s)^.*?://([^/?#]*)([^?#]*)"
 
@@ -87,15 +89,16 @@ class MinedRule:
     support: float
 
 
-def mine(labelled: DataFrame, min_support: float = 0.005, min_confidence: float = 0.9, max_rules: int = 400, max_rows: int = 100_000) -> list[MinedRule]:
-    """Association rules tokens -> verdict from rows (tokens, verdict).
+def mine(labelled: DataFrame, min_support: float = 0.005, min_confidence: float = 0.9, max_rows: int = 100_000) -> DataFrame | None:
+    """Association rules tokens -> verdict from rows (tokens, verdict): all that support and
+    confidence leave, but the redundant ones, staged (first token, tokens, verdict, confidence, support).
 
     ``max_rows`` bounds the labelled rows that are mined: beyond it rows are taken by a hash of
-    their tokens. ``max_rules`` bounds what is kept, best confidence and support first.
+    their URL.
     """
     n = labelled.count()
     if not n:
-        return []
+        return None
     if n > max_rows:
         labelled = labelled.where(F.pmod(F.xxhash64("url"), F.lit(1 << 20)) < int((1 << 20) * max_rows / n))
     baskets = labelled.select(F.concat("tokens", F.array(F.concat(F.lit("="), "verdict"))).alias("items"))
@@ -104,15 +107,15 @@ def mine(labelled: DataFrame, min_support: float = 0.005, min_confidence: float
         model.associationRules.where(F.element_at("consequent", 1).startswith("="))
         .where(~F.exists("antecedent", lambda x: x.startswith("=")))
         .select(F.array_sort("antecedent").alias("tokens"), F.substring(F.element_at("consequent", 1), 2, 64).alias("verdict"), "confidence", "support")
-        .orderBy(F.desc("confidence"), F.desc("support"), F.size("tokens"), "tokens", "verdict")
-        .limit(max_rules)
-        .collect()
     )
-    best: dict[tuple[str, ...], MinedRule] = {}
-    for r in found:
-        best.setdefault(tuple(r.tokens), MinedRule(tuple(r.tokens), r.verdict, r.confidence, r.support))
-    # A rule is redundant if a shorter one with its verdict is at least as confident.
-    return [r for r in best.values() if not any(set(o.tokens) < set(r.tokens) and o.verdict == r.verdict and o.confidence >= r.confidence for o in best.values())]
+    found = staged(found.select(F.element_at("tokens", 1).alias("first"), "*"))
+    # A rule is redundant if a shorter one with its verdict is at least as confident: its support is
+    # no less either and it fits wherever the longer one does, so no verdict changes.
+    short = found.select("first", F.col("tokens").alias("some"), "verdict", F.col("confidence").alias("c"))
+    longer = found.select(F.explode("tokens").alias("first"), "tokens", "verdict", "confidence")
+    inside = (F.size("some") < F.size("tokens")) & (F.size(F.array_except("some", "tokens")) == 0) & (F.col("c") >= F.col("confidence"))
+    redundant = longer.join(short, ["first", "verdict"]).where(inside).select("tokens", "verdict").distinct()
+    return staged(found.join(redundant, ["tokens", "verdict"], "left_anti"))
 
 
 def mined_verdict(tokens: Column, rules: Sequence[MinedRule]) -> Column:
@@ -135,12 +138,24 @@ def mined_verdict(tokens: Column, rules: Sequence[MinedRule]) -> Column:
     return F.array_max(fitting)["v"]
 
 
-def judge_urls(pages: DataFrame, key: str = "page_id", url: str = "url", rules: Sequence[UrlRule] = STATED, default: str = "allow", **mining) -> DataFrame:
+def with_mined(judged: DataFrame, found: DataFrame | None, inline: int) -> DataFrame:
+    """``judged`` with a column ``mined``; more than ``inline`` rules stay a table, joined on a rule's first token."""
+    if found is None:
+        return judged.withColumn("mined", F.lit(None).cast("string"))
+    if found.count() <= inline:
+        rules = [MinedRule(tuple(r.tokens), r.verdict, r.confidence, r.support) for r in found.orderBy("tokens", "verdict").collect()]
+        return judged.withColumn("mined", mined_verdict(F.col("tokens"), rules))
+    index = found.select("first", F.struct(F.col("confidence").alias("c"), F.col("support").alias("s"), F.col("verdict").alias("v"), F.col("tokens").alias("t")).alias("r"))
+    sets = judged.select("tokens").distinct().select("tokens", F.explode("tokens").alias("first"))
+    best = sets.join(index, "first").where(F.size(F.array_except("r.t", "tokens")) == 0).groupBy("tokens").agg(F.max("r").alias("r"))
+    return judged.join(best.select("tokens", F.col("r.v").alias("mined")), "tokens", "left")
+
+
+def judge_urls(pages: DataFrame, key: str = "page_id", url: str = "url", rules: Sequence[UrlRule] = STATED, default: str = "allow", inline: int = 400, **mining) -> DataFrame:
     """One row per page: key, host, path, rule, verdict, mined (the mined verdict, or null)."""
     u = F.col(url)
     read = pages.select(F.col(key), host_of(u).alias("host"), path_of(u).alias("path"), tokens_of(u).alias("tokens"), u.alias("url"))
     judged = read.withColumn("stated", stated_rule(F.col("host"), F.col("path"), rules))
     labelled = judged.where("stated is not null").select("tokens", "url", F.col("stated.verdict").alias("verdict"))
-    found = mine(labelled, **mining)
-    mined = mined_verdict(F.col("tokens"), found)
-    return judged.select(key, "host", "path", F.col("stated.rule").alias("rule"), F.coalesce(F.col("stated.verdict"), mined, F.lit(default)).alias("verdict"), mined.alias("mined"))
+    judged = with_mined(judged, mine(labelled, **mining), inline)
+    return judged.select(key, "host", "path", F.col("stated.rule").alias("rule"), F.coalesce(F.col("stated.verdict"), F.col("mined"), F.lit(default)).alias("verdict"), "mined")

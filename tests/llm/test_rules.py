@@ -1,5 +1,7 @@
 import random
 
+import pytest
+
 from evsketch.llm import lm, quality, urlfilter
 
 
@@ -91,6 +93,18 @@ def test_mined_rules_carry_over(spark):
     assert "Python" not in plan and "Arrow" not in plan
 
 
+@pytest.mark.parametrize("how", [{}, {"inline": 0}])
+def test_certain_rules_do_not_crowd_out_others(spark, how):
+    rows = [(i, "http://a.b.org/c/d/e/f/g/h/i/j") for i in range(100)]  # 2,047 rules of confidence 1
+    rows += [(100 + i, f"http://s{i}.com/{'fr' if i < 5 else 'de'}/zz") for i in range(100)]
+    rows += [(900, "http://new.net/zz"), (901, "http://new.net/c/q"), (902, "http://new.net/q"), (903, None)]
+    df = spark.createDataFrame(rows, "page_id long, url string")
+    got = {r.page_id: r for r in urlfilter.judge_urls(df, min_support=0.05, **how).collect()}
+    assert len(got) == len(rows)
+    assert (got[900].mined, got[900].verdict) == ("block", "block") and got[901].mined == "allow"
+    assert got[902].mined is None and got[903].mined is None and got[903].verdict == "allow"
+
+
 def test_kneser_ney_sums_to_one_and_separates(spark):
     rng = random.Random(5)
     words = ["the", "cat", "sat", "on", "a", "mat", "and", "then", "ran", "home"]
