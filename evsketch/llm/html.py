@@ -8,6 +8,9 @@ subtree with the largest sum at or above it is the content. Inside it, boilerpla
 (navigation, forms, adverts, reader comments and the like) are left out, and the remaining blocks
 are written in page order.
 
+A class, id or role that is a marked word drops its element; one that only has such a part does where
+the element is less dense than the page; html and body, main and article never go by their names.
+
 Defined cases: null, empty or text-free html gives an empty text; markup that never closes ends
 with the page; a page without tags is one block; repeated rows give equal rows; other columns are
 not read.
@@ -56,6 +59,7 @@ class Node:
     drop: bool = False
     link: bool = False
     parent: Node | None = None
+    doubt: bool = False  # a part of a class name is marked; density decides
     parts: list = field(default_factory=list)  # str or Node, in page order
     chars: int = 0
     tags: int = 0
@@ -65,15 +69,16 @@ class Node:
     total: float = 0.0
 
 
-def _marked(attrs: str) -> bool:
-    """Whether a class, id or role names a part that is not the article."""
+def _marked(attrs: str) -> tuple[bool, bool, bool]:
+    """Whether a whole class, id or role, or only a part of one, names what is not the article; whether it is hidden."""
     if not attrs or "=" not in attrs and "hidden" not in attrs:
-        return False
+        return False, False, False
+    whole = part = False
     for m in _ATTR.finditer(attrs):
         for name in (m[2] or m[3] or m[4] or "").split():
-            if name.lower() in MARKS or any(p.lower() in MARKS for p in _PART.findall(name)):
-                return True
-    return bool(_HIDDEN.search(attrs))
+            whole = whole or name.lower() in MARKS
+            part = part or any(p.lower() in MARKS for p in _PART.findall(name))
+    return whole, part, bool(_HIDDEN.search(attrs))
 
 
 def parse(html: str) -> Node:
@@ -98,7 +103,7 @@ def parse(html: str) -> Node:
                 here = node.parent
         elif m[3]:
             name, attrs = m[3].lower(), m[4] or ""
-            if name in ("html", "body") and not _marked(attrs):
+            if name in ("html", "body"):
                 if name == "body":
                     while here is not root:
                         here = here.parent
@@ -115,7 +120,9 @@ def parse(html: str) -> Node:
                     node = node.parent
                 if node.tag in CLOSES[name]:
                     here = node.parent
-            node = Node(name, name in DROPPED or _marked(attrs), name == "a", here)
+            whole, part, hidden = _marked(attrs)
+            named = name not in ("main", "article")  # these are the article whatever their class
+            node = Node(name, name in DROPPED or hidden or whole and named, name == "a", here, part and named)
             here.parts.append(node)
             if name in VOID or attrs.endswith("/"):
                 continue
@@ -171,6 +178,11 @@ def weigh(root: Node) -> list[Node]:
 def main_node(root: Node) -> Node:
     """The subtree of the largest density sum under the body-path threshold."""
     order = weigh(root)
+    doubtful = [n for n in order if n.doubt and n.density < root.density]
+    if doubtful:
+        for n in doubtful:
+            n.drop = True
+        order = weigh(root)
     best = max(order, key=lambda n: n.total)
     if best.total <= 0:
         return root

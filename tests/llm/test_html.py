@@ -21,6 +21,18 @@ def test_article_without_the_rest(page):
     assert html.main_text(page) == TEXT
 
 
+@pytest.mark.parametrize("named", ["class='single-post has-sidebar'", "class=nav-open", "id='right-sidebar'", "class='sidebar'"])
+def test_names_of_the_whole_page_drop_nothing(named):
+    for inner in (f"<main {named}>{BODY}</main>", f"<article {named}>{BODY}</article>", f"<div>{BODY}</div>"):
+        assert html.main_text(f"<html {named}><body {named}>{NAV}{inner}<footer>c</footer></body></html>") == TEXT
+
+
+@pytest.mark.parametrize("name", ["widget-content", "social-science"])
+def test_parts_of_names_drop_only_what_is_thin(name):
+    assert html.main_text(f"<body>{NAV}<div class='{name}'>{BODY}</div></body>") == TEXT
+    assert html.main_text(f"<body>{NAV}<article>{BODY}<div class='{name}'><a href=/>more</a></div></article></body>") == TEXT
+
+
 def test_references_white_space_and_unclosed_tags():
     page = "<article><h1>A &amp; B</h1><p>one\n\t two&nbsp;<b>three</b>four<p>five &lt; six<br>seven</article>"
     assert html.main_text(page) == "A & B one two threefour five < six seven"
