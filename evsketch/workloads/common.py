@@ -14,9 +14,9 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
-#: Registers at the size that the oracles run at, and at the smallest and largest sizes.
+#: Registers at every size, those of the oracles; and exceptions by the input's name (none).
 K = 256
-K_BY_SIZE = {"sf0.001": 64, "sf0.1": 1024}
+K_BY_SIZE: dict[str, int] = {}
 #: Registers where every register sees every item, and in many-seed runs.
 K_FULL = 64
 SEEDS = 60

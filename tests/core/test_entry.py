@@ -6,7 +6,7 @@ import duckdb
 import pytest
 
 from evsketch import registry
-from evsketch.workloads.common import K_BY_SIZE
+from evsketch.workloads.common import K, K_BY_SIZE, spec_at
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -44,3 +44,7 @@ def test_entry_and_registry(spark):
     assert entry.entry(spark).count() == 1
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert len(registry.queries()) >= 100
+
+
+def test_registers_do_not_depend_on_the_name_of_the_input():
+    assert {spec_at(f"/data/{name}").k for name in ("sf0.001", "sf0.01", "sf0.1", "sf0.1/", "other")} == {K}
