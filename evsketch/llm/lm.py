@@ -1,201 +1,441 @@
 """Quality by an interpolated modified Kneser-Ney n-gram model of trusted text.
 
-Text is read as a sequence of ``SYMBOLS`` symbols (lower-case letters, other letters, digits, white
-space, punctuation and the like), so a model of order n has at most SYMBOLS**n probabilities per
-language, whatever the corpus: a bound that is known before training. Trusted documents are a
-bounded, hash-chosen sample of the labelled good ones. Their n-grams are counted in Spark; the
-counts of each order, the continuation counts and the number of followers met once, twice or more
-are sharded by context and joined, which gives the discounts and the interpolated probabilities.
-The table is shipped to the workers once, every document of the corpus is scored whole in one
-narrow pass, and each language's threshold is a quantile of its trusted documents' perplexity
-(times ``Model.margin``).
-
-Defined cases: null or empty texts have no perplexity and are not kept; a language without trusted
-text is scored and judged by the model of all trusted text; a null language counts as such a
-language; repeated rows get equal scores; with no trusted text at all every text is kept; an empty
-table gives no rows; other columns are not read.
+Text is a sequence of lower-cased characters of any script, each text after order-1 pads, and the
+model is one of character n-grams. Its counts are those of all trusted documents but the held-out
+ones (one in ``Model.hold``, by a hash of the key), so they grow with the corpus; nothing of them
+reaches the driver but the counts of counts. One query goes through these steps:
+
+1. documents are packed into blobs (compressed text of whole documents), written once to the shared
+   folder as a table bucketed by blob, so that what is joined to a blob travels to it, never text;
+2. labels are joined to keys, trusted positions travel to their blobs, and the n-grams there are
+   counted per blob and summed by n-gram. Continuation counts, counts of counts, discounts and the
+   interpolation are aggregations and joins of n-gram tables: an n-gram meets its context and its
+   suffix, of which a table has at most as many as the alphabet has characters;
+3. each blob asks once for every different window it holds, in every order. Questions and the
+   model's entries are dealt by shards of the n-grams' hashes (and salts, which the entries are
+   repeated for), and answers travel back to the blobs, where the unseen n-grams back off;
+4. perplexities of held-out trusted documents give each language's threshold: their quantile times
+   ``Model.margin``.
+
+Defined cases: null or empty texts have no perplexity and are not kept; a language (null counts as
+one) with fewer than ``least`` held-out trusted documents takes the threshold of all of them, and
+without any held-out document at all that of the trusted ones; a null key is in no label; repeated rows get equal scores;
+with no trusted text at all every row is kept; an empty table gives no rows; other columns are not
+read.
 """
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+import zstandard
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import empty_safe, raw, slices, staged
+from evsketch.llm.common import mix64, released, shared_dir, small, staged
 
-SYMBOLS = 40
-#: The pooled model's name.
-POOLED = ""
+#: UTF-8 bytes of text in a blob; it ends after the document that reaches them.
+BLOB = 12 << 20
+#: Entries of a table that is addressed directly; beyond, values are ranked by sorting.
+DIRECT = 1 << 24
+#: Positions handled at a time.
+CHUNK = 1 << 20
+#: Model entries of a shard, and bytes of text that one shard and salt answer for.
+SHARD, SALT = 1 << 18, 256 << 20
+LEAST_SHARDS = 64
+PAD = "\0"
 
-
-def _classes() -> np.ndarray:
-    """Symbol of each UTF-8 byte; 255 for continuation bytes, which are skipped."""
-    t = np.full(256, 30, np.uint8)
-    t[0x80:0xC0] = 255
-    t[0xC0:0xE0], t[0xE0:0xF0], t[0xF0:] = 27, 28, 29
-    for i in range(26):
-        t[97 + i] = i
-        t[65 + i] = i
-    t[[9, 11, 12, 13, 32]] = 26
-    t[10] = 31
-    t[48:58] = 32
-    for i, group in enumerate((b".", b",;:", b"!?", b"'\"", b"()[]{}", b"-_/", b"#*$%&|<>")):
-        t[list(group)] = 33 + i
-    return t
-
-
-_CLASS = _classes()
+_BASE = np.uint64(0x9E3779B97F4A7C15)
 
 
 @dataclass(frozen=True)
 class Model:
-    """Order, sample bounds and the quantile that sets a language's threshold."""
-
-    order: int = 3
-    trusted_rows: int = 6_000
-    languages: int = 16
-    least_rows: int = 20
-    quantile: float = 0.999
-    margin: float = 1.25  # the quantile is of text that the model may have seen
-
-
-def symbols(body: np.ndarray) -> np.ndarray:
-    s = _CLASS[body]
-    return s[s != 255]
-
-
-def grams(s: np.ndarray, order: int) -> np.ndarray:
-    """Codes of the n-grams of a text that starts with order-1 white spaces; one a symbol."""
-    padded = np.concatenate([np.full(order - 1, 26, np.int64), s.astype(np.int64)])
-    code = padded[: len(s)].copy()
-    for i in range(1, order):
-        code = code * SYMBOLS + padded[i : i + len(s)]
-    return code
-
-
-def count_grams(trusted: DataFrame, order: int) -> DataFrame:
-    """(lang, gram, n) over rows (lang, text); summed per worker before the shuffle."""
-
-    def run(batches) -> Iterator[pa.RecordBatch]:
-        held: dict[str, np.ndarray] = {}
-        for batch in batches:
-            body, off = raw(empty_safe(batch.column("text")))
-            for i, lang in enumerate(batch.column("lang").to_pylist()):
-                code = grams(symbols(body[off[i] : off[i + 1]]), order)
-                if len(code):
-                    u, n = np.unique(code, return_counts=True)
-                    held.setdefault(lang, np.zeros(SYMBOLS**order, np.int32))[u] += n.astype(np.int32)
-        for lang, n in held.items():
-            at = np.flatnonzero(n)
-            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at)), pa.array(at), pa.array(n[at].astype(np.int64))], ["lang", "gram", "n"])
-
-    return trusted.select("lang", "text").mapInArrow(run, "lang string, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
-
-
-def probabilities(counts: DataFrame, order: int) -> DataFrame:
-    """(lang, gram, p) of the highest order for every n-gram seen, and (lang, gram, back) rows for
-    contexts: the whole interpolation as joins of counts sharded by context.
-
-    Returns rows (lang, level, gram, p, gamma): level k has the discounted share p of each seen
-    k-gram, and on its context (level k-1 code) the weight gamma left for level k-1.
-    """
-    out = None
-    level = counts
-    for k in range(order, 0, -1):
-        base = SYMBOLS ** (k - 1)
-        level = level.withColumns({"context": F.floor(F.col("gram") / SYMBOLS).cast("long"), "after": F.pmod("gram", F.lit(base)).cast("long")})
-        met = level.groupBy("lang").agg(*[F.sum((F.col("n") == i).cast("long")).alias(f"c{i}") for i in (1, 2, 3, 4)])
-        y = F.col("c1") / (F.col("c1") + 2 * F.col("c2"))
-        held = [F.when((F.col(f"c{i}") > 0) & (F.col("c1") > 0), F.greatest(F.lit(0.0), i - (i + 1) * y * F.col(f"c{i + 1}") / F.col(f"c{i}"))).otherwise(F.lit(0.5)) for i in (1, 2, 3)]
-        met = met.select("lang", *[h.alias(f"d{i}") for i, h in zip((1, 2, 3), held, strict=True)])
-        total = level.groupBy("lang", "context").agg(F.sum("n").alias("all"), *[F.sum((c).cast("long")).alias(f"f{i}") for i, c in ((1, F.col("n") == 1), (2, F.col("n") == 2), (3, F.col("n") >= 3))])
-        total = total.join(F.broadcast(met), "lang")  # one row a language
-        gamma = (F.col("d1") * F.col("f1") + F.col("d2") * F.col("f2") + F.col("d3") * F.col("f3")) / F.col("all")
-        total = total.withColumn("gamma", gamma)
-        d = F.when(F.col("n") == 1, F.col("d1")).when(F.col("n") == 2, F.col("d2")).otherwise(F.col("d3"))
-        shares = level.join(total, ["lang", "context"]).select("lang", F.lit(k).alias("level"), "gram", (F.greatest(F.lit(0.0), F.col("n") - d) / F.col("all")).alias("p"), F.lit(None).cast("double").alias("gamma"))
-        weights = total.select("lang", F.lit(k).alias("level"), F.col("context").alias("gram"), F.lit(None).cast("double").alias("p"), "gamma")
-        part = shares.union(weights)
-        out = part if out is None else out.union(part)
-        # continuation counts: how many symbols come before each shorter gram
-        level = level.groupBy("lang", F.col("after").alias("gram")).agg(F.count("*").alias("n")) if k > 1 else level
-    return out
-
-
-def tables(parts: pa.Table, order: int) -> dict[str, np.ndarray]:
-    """Log probability of every n-gram, per language, from the joined parts (dense, bounded)."""
-    out = {}
-    frame = parts.to_pandas()
-    for lang, rows in frame.groupby("lang"):
-        lower = np.full(SYMBOLS, 1.0 / SYMBOLS)
-        for k in range(1, order + 1):
-            at = rows[rows.level == k]
-            share, gamma = np.zeros(SYMBOLS**k), np.ones(SYMBOLS ** (k - 1))
-            p, g = at[at.p.notna()], at[at.gamma.notna()]
-            share[p.gram.to_numpy()] = p.p.to_numpy()
-            gamma[g.gram.to_numpy()] = g.gamma.to_numpy()
-            # the lower order's probability of w after the context's last k-2 symbols
-            if k == 1:
-                below = lower
-            else:
-                below = np.tile(lower, SYMBOLS ** (k - 1) // max(1, len(lower) // SYMBOLS))
-            lower = share + np.repeat(gamma, SYMBOLS) * below
-        out[lang] = np.log(np.maximum(lower, 1e-12)).astype(np.float32)
+    """Order, share of trusted documents held out (one in ``hold``), and what sets the thresholds; a
+    language of its own threshold has ``least`` held-out documents."""
+
+    order: int = 5
+    hold: int = 8
+    least: int = 20
+    quantile: float = 0.99
+    margin: float = 1.25
+
+
+# -- windows of a padded text --------------------------------------------------------------------
+
+
+def _ranks(codes, size: int, many: int) -> tuple[np.ndarray, np.ndarray]:
+    """Different values of a sequence, sorted, and each position's rank. ``codes(a, b)`` gives
+    positions [a, b) of ``size``; values lie below ``many``."""
+    spots = [(a, min(size, a + CHUNK)) for a in range(0, size, CHUNK)]
+    rank = np.empty(size, np.int32)
+    if many <= DIRECT:
+        seen = np.zeros(many, bool)
+        for a, b in spots:
+            seen[codes(a, b)] = True
+        found = np.flatnonzero(seen)
+        place = np.cumsum(seen, dtype=np.int32)
+        place -= 1
+        for a, b in spots:
+            rank[a:b] = place[codes(a, b)]
+        return found, rank
+    found = np.zeros(0, np.int64)
+    for a, b in spots:
+        found = np.union1d(found, codes(a, b))
+    for a, b in spots:
+        rank[a:b] = np.searchsorted(found, codes(a, b))
+    return found, rank
+
+
+@dataclass
+class Windows:
+    """Different windows of one size: where their context (one symbol less at the end) and suffix
+    (one less at the start) stand among the windows one shorter, their last symbols and hashes."""
+
+    context: np.ndarray
+    suffix: np.ndarray
+    last: np.ndarray
+    raw: np.ndarray
+
+    def keys(self, size: int) -> np.ndarray:
+        return mix64(self.raw + np.uint64(size) * np.uint64(0xD6E8FEB86659FD93))
+
+
+def symbol_hash(symbols: np.ndarray) -> np.ndarray:
+    return mix64(symbols.astype(np.uint64) + np.uint64(0x51ED270B))
+
+
+def windows(text: np.ndarray, order: int) -> tuple[list[Windows], np.ndarray]:
+    """Windows of 1 to ``order`` symbols of ``text`` (code points that start with order-1 pads), and
+    for each position the rank of the largest one that ends there."""
+    alphabet, one = _ranks(lambda a, b: text[a:b], len(text), 0x110000)
+    many, marks = max(1, len(alphabet)), symbol_hash(alphabet)
+    none = np.zeros(len(alphabet), np.int64)
+    out = [Windows(none, none, alphabet, marks)]
+    rank, before = one, alphabet
+    for _ in range(order - 1):
+
+        def codes(a: int, b: int, rank=rank) -> np.ndarray:
+            left = rank[a - 1 : b - 1] if a else np.concatenate([rank[:1], rank[: b - 1]])
+            return left.astype(np.int64) * many + one[a:b]
+
+        found, now = _ranks(codes, len(text), len(before) * many)
+        context, at = found // many, found % many
+        top = out[-1]
+        suffix = at if len(out) == 1 else np.searchsorted(before, top.suffix[context] * many + at)
+        out.append(Windows(context, suffix, alphabet[at], top.raw[context] * _BASE + marks[at]))
+        rank, before = now, found
+    return out, rank
+
+
+def spelled(levels: list[Windows], some: np.ndarray) -> list[str]:
+    """The largest windows at the ranks ``some`` as strings."""
+    order = len(levels)
+    chars, at = np.empty((len(some), order), np.uint32), some
+    for k in range(order - 1, -1, -1):
+        chars[:, k] = levels[k].last[at]
+        at = levels[k].context[at]
+    text = chars.tobytes().decode("utf-32-le")
+    return [text[i : i + order] for i in range(0, len(text), order)]
+
+
+# -- blobs -------------------------------------------------------------------------------------
+
+
+class Blobs:
+    """The documents as a table (blob, size, keys, langs, chars, body) bucketed by blob."""
+
+    def __init__(self, docs: DataFrame, key: str, text: str, lang: str, order: int):
+        self.spark, self.kind = docs.sparkSession, docs.schema[key].dataType.simpleString()
+        pads = PAD * (order - 1)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            keys, langs, texts, size, number = [], [], [], 0, TaskContext.get().partitionId() << 32
+            key_type = None
+
+            def packed() -> pa.RecordBatch:
+                body = zstandard.ZstdCompressor(level=4).compress("".join(pads + t for t in texts).encode())
+                cols = [pa.array([number]), pa.array([size]), pa.array([keys], pa.list_(key_type)), pa.array([langs], pa.list_(pa.string())), pa.array([[len(t) for t in texts]], pa.list_(pa.int32())), pa.array([body], pa.binary())]
+                return pa.RecordBatch.from_arrays(cols, ["blob", "size", "keys", "langs", "chars", "body"])
+
+            for batch in released(batches):
+                key_type = batch.schema.field("k").type
+                for k, t, name in zip(batch.column("k").to_pylist(), batch.column("t"), batch.column("l").to_pylist(), strict=True):
+                    t = (t.as_py() or "").lower()
+                    keys.append(k)
+                    langs.append(name)
+                    texts.append(t)
+                    size += len(t) if t.isascii() else len(t.encode())
+                    if size >= BLOB:
+                        yield packed()
+                        keys, langs, texts, size, number = [], [], [], 0, number + 1
+            if keys:
+                yield packed()
+
+        rows = docs.select(F.col(key).alias("k"), F.col(text).cast("string").alias("t"), F.col(lang).cast("string").alias("l"))
+        blobs = rows.mapInArrow(run, f"blob long, size long, keys array<{self.kind}>, langs array<string>, chars array<int>, body binary")
+        self.buckets = max(1, min(50_000, docs.rdd.getNumPartitions()))
+        self.name = f"blobs_{uuid.uuid4().hex}"
+        self.path = f"{shared_dir(self.spark).rstrip('/')}/{self.name}"
+        blobs.write.bucketBy(self.buckets, "blob").sortBy("blob").option("path", self.path).format("parquet").saveAsTable(self.name)
+
+    def table(self) -> DataFrame:
+        return self.spark.table(self.name)
+
+    def meet(self, rows: DataFrame) -> DataFrame:
+        """The blobs beside ``rows`` (one a blob), which alone are shuffled."""
+        return self.table().join(rows.hint("shuffle_merge"), "blob")
+
+    def travelling(self, rows: DataFrame) -> DataFrame:
+        """``rows`` dealt as the blobs are."""
+        return rows.repartition(self.buckets, "blob")
+
+    def drop(self) -> None:
+        self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
+        jvm, conf = self.spark._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
+        target = jvm.org.apache.hadoop.fs.Path(self.path)
+        target.getFileSystem(conf).delete(target, True)
+
+
+def code_points(body: bytes) -> np.ndarray:
+    return np.frombuffer(zstandard.ZstdDecompressor().decompress(body).decode().encode("utf-32-le"), np.uint32)
+
+
+# -- counts and probabilities --------------------------------------------------------------------
+
+
+def count_grams(marked: DataFrame, order: int) -> DataFrame:
+    """(gram, n): n-grams of the documents at ``spots`` of each blob, summed per blob before the shuffle."""
+    pads = order - 1
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in released(batches):
+            for body, chars, spots in zip(batch.column("body"), batch.column("chars"), batch.column("spots"), strict=True):
+                text, size = code_points(body.as_py()), np.asarray(chars.as_py(), np.int64)
+                end = np.cumsum(size + pads)
+                taken = [(int(end[s] - size[s] - pads), int(end[s])) for s in sorted(set(spots.as_py())) if size[s]]
+                if not taken:
+                    continue
+                levels, rank = windows(np.concatenate([text[a:b] for a, b in taken]), order)
+                del text
+                live = np.ones(len(rank), bool)
+                at = np.cumsum([0] + [b - a for a, b in taken[:-1]])
+                for i in range(pads):
+                    live[at + i] = False
+                n = np.bincount(rank[live], minlength=len(levels[-1].last))
+                some = np.flatnonzero(n)
+                yield pa.RecordBatch.from_arrays([pa.array(spelled(levels, some), pa.string()), pa.array(n[some].astype(np.int64))], ["gram", "n"])
+
+    return marked.select("body", "chars", "spots").mapInArrow(run, "gram string, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+
+
+def _discounts(level: DataFrame) -> tuple[float, float, float]:
+    """Discounts for counts of one, two and more, from the counts of counts."""
+    met = level.agg(*[F.coalesce(F.sum((F.col("n") == i).cast("long")), F.lit(0)) for i in (1, 2, 3, 4)]).first()
+    if not met[0]:
+        return 0.5, 0.5, 0.5
+    y = met[0] / (met[0] + 2 * met[1])
+    return tuple(min(float(i), max(0.0, i - (i + 1) * y * met[i] / met[i - 1])) if met[i - 1] else 0.5 for i in (1, 2, 3))
+
+
+def train(counts: DataFrame, order: int) -> tuple[DataFrame, float, float]:
+    """The model from the counts (gram, n) of full n-grams: rows (gram, p, left), p the interpolated
+    probability of a gram's last symbol and left what a context leaves to shorter ones (null where
+    the gram isn't one); what the empty context leaves; and the share of one unseen symbol."""
+    levels = [counts]
+    for k in range(order - 1, 0, -1):  # continuation counts: how many symbols come before a gram
+        levels.append(staged(levels[-1].groupBy(F.expr(f"right(gram, {k})").alias("gram")).agg(F.count("*").alias("n"))))
+    lower = rest = None
+    entries = []
+    for k, level in enumerate(reversed(levels), start=1):
+        d1, d2, d3 = _discounts(level)
+        cut = F.when(F.col("n") == 1, d1).when(F.col("n") == 2, d2).otherwise(d3)
+        named = level.withColumns({"context": F.expr(f"left(gram, {k - 1})"), "cut": cut})
+        total = named.groupBy("context").agg(F.sum("n").alias("all"), F.sum("cut").alias("lost")).withColumn("left", F.col("lost") / F.col("all"))
+        if lower is None:
+            all_, lost = total.agg(F.sum("all"), F.sum("lost")).first()  # one context, the empty one
+            rest, flat = lost / all_, 1 / (level.count() + 1)
+            part = named.select("gram", ((F.col("n") - F.col("cut")) / F.lit(all_) + F.lit(rest * flat)).alias("p"))
+        else:
+            entries.append(total.select(F.col("context").alias("gram"), F.lit(None).cast("double").alias("p"), "left"))
+            shares = named.join(total, "context").select("gram", ((F.col("n") - F.col("cut")) / F.col("all")).alias("share"), "left", F.expr(f"right(gram, {k - 1})").alias("suffix"))
+            below = lower.select(F.col("gram").alias("suffix"), F.col("p").alias("q"))
+            part = shares.join(below, "suffix").select("gram", (F.col("share") + F.col("left") * F.col("q")).alias("p"))
+        lower = staged(part)
+        entries.append(lower.select("gram", "p", F.lit(None).cast("double").alias("left")))
+    every = entries[0]
+    for e in entries[1:]:
+        every = every.union(e)
+    return staged(every.groupBy("gram").agg(F.max("p").alias("p"), F.max("left").alias("left"))), rest, flat
+
+
+# -- questions and answers -----------------------------------------------------------------------
+
+
+def _bytes(*parts: np.ndarray) -> bytes:
+    """Arrays of one length, a plane a byte, compressed."""
+    planes = [np.ascontiguousarray(x).view(np.uint8).reshape(len(x), -1).T.tobytes() for x in parts]
+    return zstandard.ZstdCompressor(level=1).compress(np.int64(len(parts[0])).tobytes() + b"".join(planes))
+
+
+def _arrays(body: bytes, *kinds: str) -> list[np.ndarray]:
+    body = zstandard.ZstdDecompressor().decompress(body)
+    n, at, out = int(np.frombuffer(body, np.int64, 1)[0]), 8, []
+    for kind in kinds:
+        width = np.dtype(kind).itemsize
+        planes = np.frombuffer(body, np.uint8, n * width, at).reshape(width, n)
+        out.append(np.ascontiguousarray(planes.T).view(kind).ravel())
+        at += n * width
     return out
 
 
-def train(trusted: DataFrame, order: int) -> dict[str, np.ndarray]:
-    """Tables by language and the pooled one; ``trusted`` has lang and text, languages bounded."""
-    pooled = trusted.select(F.lit(POOLED).alias("lang"), "text")
-    counts = staged(count_grams(trusted.where(f"lang <> '{POOLED}'").union(pooled), order))
-    return tables(probabilities(counts, order).toArrow(), order)  # at most languages * 2 * SYMBOLS**order rows
-
-
-def perplexity(docs: DataFrame, model: dict[str, np.ndarray], order: int, key: str = "doc_id", text: str = "text", lang: str = "lang") -> DataFrame:
-    """(key, lang, model, perplexity) of every row, over its whole text."""
-    holder = docs.sparkSession.sparkContext.broadcast(model)
-    kind = docs.schema[key].dataType.simpleString()
-
-    def run(batches):
-        known = holder.value
-        for batch in batches:
-            body, off = raw(empty_safe(batch.column(text)))
-            langs = batch.column(lang).to_pylist()
-            used, score = [], []
-            for a, b in slices(off):
-                for i in range(a, b):
-                    name = langs[i] if langs[i] in known else POOLED
-                    s = symbols(body[off[i] : off[i + 1]])
-                    used.append(name)
-                    score.append(float(np.exp(-known[name][grams(s, order)].mean(dtype=np.float64))) if len(s) and name in known else None)
-            yield pa.RecordBatch.from_arrays([batch.column(key), batch.column(lang), pa.array(used, pa.string()), pa.array(score, pa.float64())], [key, "lang", "model", "perplexity"])
-
-    return docs.select(key, text, lang).mapInArrow(lambda bs: run(b for b in bs if b.num_rows), f"`{key}` {kind}, lang string, model string, perplexity double")
+def _split(keys: np.ndarray, log: int) -> tuple[np.ndarray, np.ndarray]:
+    """Order of the keys, and where each of 2**log shards begins in it."""
+    order = np.argsort(keys)
+    edges = np.arange(1, 1 << log, dtype=np.uint64) << np.uint64(64 - log)
+    return order, np.concatenate([[0], np.searchsorted(keys[order], edges), [len(keys)]])
+
+
+def _asked(text: np.ndarray, order: int) -> tuple[list[Windows], np.ndarray, np.ndarray]:
+    levels, rank = windows(text, order)
+    return levels, rank, np.concatenate([w.keys(k) for k, w in enumerate(levels, start=1)])
+
+
+def entries_by_shard(model: DataFrame, log: int) -> DataFrame:
+    """(shard, body): entries of the model under their hashes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in released(batches):
+            size = pc.utf8_length(batch.column("gram")).to_numpy(zero_copy_only=False)
+            keys = np.zeros(len(size), np.uint64)
+            for k in np.unique(size).tolist():
+                at = np.flatnonzero(size == k)
+                chars = np.frombuffer("".join(batch.column("gram").take(pa.array(at)).to_pylist()).encode("utf-32-le"), np.uint32).reshape(len(at), k)
+                raw = np.zeros(len(at), np.uint64)
+                for i in range(k):
+                    raw = raw * _BASE + symbol_hash(chars[:, i]) if i else symbol_hash(chars[:, 0])
+                keys[at] = Windows(at, at, at, raw).keys(k)
+            p, left = (batch.column(c).to_numpy(zero_copy_only=False).astype(np.float32) for c in ("p", "left"))  # null: not a number
+            order, edge = _split(keys, log)
+            shards = np.flatnonzero(np.diff(edge))
+            packs = [_bytes(keys[o], p[o], left[o]) for o in (order[edge[s] : edge[s + 1]] for s in shards)]
+            yield pa.RecordBatch.from_arrays([pa.array(shards.astype(np.int32)), pa.array(packs, pa.binary())], ["shard", "body"])
+
+    return model.mapInArrow(run, "shard int, body binary")
+
+
+def answers(blobs: DataFrame, model: DataFrame, order: int, log: int, salts: int) -> DataFrame:
+    """(blob, shard, body): p and left for each key a blob has in a shard, in the keys' order."""
+
+    def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in released(batches):
+            for blob, body in zip(batch.column("blob").to_pylist(), batch.column("body"), strict=True):
+                keys = _asked(code_points(body.as_py()), order)[2]
+                o, edge = _split(keys, log)
+                keys = keys[o]
+                some = np.flatnonzero(np.diff(edge))
+                packs = [_bytes(np.diff(keys[edge[s] : edge[s + 1]], prepend=np.uint64(0))) for s in some]
+                n = len(some)
+                yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array([blob % salts] * n, pa.int32()), pa.array([blob] * n), pa.array(packs, pa.binary())], ["shard", "salt", "blob", "body"])
+
+    def answer(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        here, parts, known = None, [], None
+        for batch in released(batches):  # by shard and salt, the model's entries first
+            blobs_, shards, out = [], [], []
+            for shard, salt, blob, body in zip(*(batch.column(c).to_pylist() for c in ("shard", "salt", "blob")), batch.column("body"), strict=True):
+                if (shard, salt) != here:
+                    here, parts, known = (shard, salt), [], None
+                if blob < 0:
+                    parts.append(_arrays(body.as_py(), "u8", "f4", "f4"))
+                    continue
+                if known is None:
+                    known = [np.concatenate([x, *(q[i] for q in parts)]) for i, x in enumerate((np.zeros(0, "u8"), np.zeros(0, "f4"), np.zeros(0, "f4")))]
+                    o = np.argsort(known[0])
+                    known = [x[o] for x in known]
+                asked = np.cumsum(_arrays(body.as_py(), "u8")[0], dtype=np.uint64)
+                p, left = (np.full(len(asked), np.nan, "f4") for _ in range(2))
+                if len(known[0]):
+                    at = np.minimum(np.searchsorted(known[0], asked), len(known[0]) - 1)
+                    hit = known[0][at] == asked
+                    p[hit], left[hit] = known[1][at[hit]], known[2][at[hit]]
+                blobs_.append(blob)
+                shards.append(shard)
+                out.append(_bytes(p, left))
+            yield pa.RecordBatch.from_arrays([pa.array(blobs_, pa.int64()), pa.array(shards, pa.int32()), pa.array(out, pa.binary())], ["blob", "shard", "body"])
+
+    asked = blobs.select("blob", "body").mapInArrow(ask, "shard int, salt int, blob long, body binary")
+    known = entries_by_shard(model, log).select("shard", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"), F.lit(-1).cast("long").alias("blob"), "body")
+    groups = salts << log
+    tasks = max(1, min(groups, max(groups // 4, int(model.sparkSession.conf.get("spark.sql.shuffle.partitions")))))
+    dealt = asked.union(known).repartition(tasks, "shard", "salt").sortWithinPartitions("shard", "salt", "blob")
+    return dealt.mapInArrow(answer, "blob long, shard int, body binary")
+
+
+def scores(blobs: Blobs, model: DataFrame, rest: float, flat: float, order: int) -> DataFrame:
+    """(key, lang, n, total): symbols and sum of log probabilities of every document."""
+    bytes_ = blobs.table().agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
+    log = (max(LEAST_SHARDS, -(-model.count() // SHARD)) - 1).bit_length()
+    salts = max(1, -(-bytes_ // SALT) >> log)
+    back = blobs.travelling(answers(blobs.table(), model, order, log, salts)).groupBy("blob").agg(F.collect_list(F.struct("shard", "body")).alias("got"))
+    pads = order - 1
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in released(batches):
+            for body, chars, keys, langs, got in zip(*(batch.column(c) for c in ("body", "chars", "keys", "langs", "got")), strict=True):
+                levels, rank, asked = _asked(code_points(body.as_py()), order)
+                o, edge = _split(asked, log)
+                p, left = np.full(len(asked), np.nan), np.full(len(asked), np.nan)
+                for x in got:
+                    s = x["shard"].as_py()
+                    p[o[edge[s] : edge[s + 1]]], left[o[edge[s] : edge[s + 1]]] = _arrays(x["body"].as_py(), "f4", "f4")
+                left[np.isnan(left)] = 1  # an unseen context leaves all
+                start, below, weight = 0, np.full(1, flat), np.full(1, rest)
+                for w in levels:
+                    end = start + len(w.last)
+                    p_, spare = p[start:end], weight[w.context] * below[w.suffix]
+                    below, weight = np.where(np.isnan(p_), spare, p_), left[start:end]
+                    start = end
+                logs = np.log(below).astype(np.float32)
+                size = np.asarray(chars.as_py(), np.int64)
+                begin = np.cumsum(size + pads) - (size + pads)
+                value = logs[rank]
+                del rank
+                for i in range(pads):
+                    value[begin + i] = 0
+                if not pads:
+                    value = np.append(value, np.float32(0))
+                sums = np.where(size > 0, np.add.reduceat(value, begin, dtype=np.float64), 0.0)
+                yield pa.RecordBatch.from_arrays([keys.values, langs.values, pa.array(size), pa.array(sums)], ["key", "lang", "n", "total"])
+
+    return blobs.meet(back).select("body", "chars", "keys", "langs", "got").mapInArrow(run, f"key {blobs.kind}, lang string, n long, total double")
 
 
 def judge(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", how: Model = Model()) -> DataFrame:
     """Per row: key, lang, perplexity, threshold, kept."""
-    good = labels.where("quality = 1 and coalesce(toxic, 0) = 0").select(F.col("doc_id").alias("good__")).distinct()
-    n = good.count()
-    sample = good.where(F.pmod(F.xxhash64("good__"), F.lit(1 << 20)) < int((1 << 20) * min(1.0, how.trusted_rows / max(1, n))) + 1)
-    sample = staged(sample)
-    pool = docs.join(F.broadcast(sample), docs[key] == sample["good__"], "left_semi")  # bounded by trusted_rows
-    pool = staged(pool.select(F.coalesce(F.col(lang), F.lit(POOLED)).alias("lang"), F.col(text).alias("text")))
-    names = [r.lang for r in pool.groupBy("lang").count().where((F.col("count") >= how.least_rows) & (F.col("lang") != POOLED)).orderBy(F.desc("count"), "lang").limit(how.languages).collect()]
-    pool = pool.withColumn("lang", F.when(F.col("lang").isin(names), F.col("lang")).otherwise(F.lit(POOLED))) if names else pool.withColumn("lang", F.lit(POOLED))
-    model = train(pool, how.order)
-    scored = staged(perplexity(docs, model, how.order, key, text, lang))
-    trusted = scored.join(good, scored[key] == good["good__"], "left_semi")
-    limits = trusted.groupBy("model").agg(F.percentile_approx("perplexity", how.quantile, 10_000).alias("threshold"))
-    everything = trusted.agg(F.percentile_approx("perplexity", how.quantile, 10_000).alias("pooled"))
-    judged = scored.join(F.broadcast(limits), "model", "left").crossJoin(F.broadcast(everything))  # a row a model, and one row
-    judged = judged.withColumn("threshold", F.lit(how.margin) * F.coalesce("threshold", "pooled", F.lit(float("inf"))))
-    kept = F.col("perplexity") <= F.col("threshold")
-    if not model:
-        kept = F.lit(True)
-    return judged.select(key, "lang", "perplexity", "threshold", F.coalesce(kept, F.lit(False)).alias("kept"))
+    good = staged(labels.where("quality = 1 and coalesce(toxic, 0) = 0 and doc_id is not null").select(F.col("doc_id").alias("good"), (F.pmod(F.xxhash64(F.lit(how.hold), "doc_id"), F.lit(how.hold)) == 0).alias("held")).distinct())
+    blobs = Blobs(docs, key, text, lang, how.order)
+    try:
+        places = blobs.table().select("blob", F.posexplode("keys").alias("spot", "good"))
+        spots = places.join(small(good.where("not held").select("good")), "good")
+        marked = blobs.meet(blobs.travelling(spots.select("blob", "spot")).groupBy("blob").agg(F.collect_list("spot").alias("spots")))
+        counts = staged(count_grams(marked, how.order))
+        if counts.isEmpty():
+            rows = blobs.table().select(F.explode(F.arrays_zip("keys", "langs")).alias("x"))
+            return staged(rows.select(F.col("x.keys").alias(key), F.col("x.langs").alias("lang"), F.lit(None).cast("double").alias("perplexity"), F.lit(None).cast("double").alias("threshold"), F.lit(True).alias("kept")))
+        model, rest, flat = train(counts, how.order)
+        scored = staged(scores(blobs, model, rest, flat, how.order).select("key", "lang", F.when(F.col("n") > 0, F.exp(-F.col("total") / F.col("n"))).alias("perplexity")))
+    finally:
+        blobs.drop()
+    trusted = staged(scored.join(small(good), scored["key"] == good["good"]).select("lang", "perplexity", "held").where("perplexity is not null"))
+    quantile = F.percentile_approx("perplexity", how.quantile, 10_000)
+    limits = staged(trusted.where("held").groupBy("lang").agg(F.count("*").alias("many"), quantile.alias("own")).where(F.col("many") >= how.least).drop("many"))
+    pooled = trusted.agg(F.percentile_approx(F.when(F.col("held"), F.col("perplexity")), how.quantile, 10_000), quantile).first()
+    every = pooled[0] if pooled[0] is not None else pooled[1]
+    judged = scored.join(small(limits.withColumnRenamed("lang", "of")), F.col("lang").eqNullSafe(F.col("of")), "left")
+    judged = judged.withColumn("threshold", F.lit(how.margin) * F.coalesce("own", F.lit(every)))
+    return judged.select(F.col("key").alias(key), "lang", "perplexity", "threshold", F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(False)).alias("kept"))

@@ -2,7 +2,7 @@ import random
 
 import pytest
 
-from evsketch.llm import lm, quality, urlfilter
+from evsketch.llm import quality, urlfilter
 
 
 def plain(text):
@@ -103,24 +103,3 @@ def test_certain_rules_do_not_crowd_out_others(spark, how):
     assert len(got) == len(rows)
     assert (got[900].mined, got[900].verdict) == ("block", "block") and got[901].mined == "allow"
     assert got[902].mined is None and got[903].mined is None and got[903].verdict == "allow"
-
-
-def test_kneser_ney_sums_to_one_and_separates(spark):
-    rng = random.Random(5)
-    words = ["the", "cat", "sat", "on", "a", "mat", "and", "then", "ran", "home"]
-    prose = lambda: " ".join(rng.choice(words) for _ in range(60)) + "."
-    rows = [(i, prose(), "en") for i in range(120)] + [(200 + i, "zq#9 xv$!! " * 20, "en") for i in range(5)] + [(300, None, "en"), (301, "", None), (302, prose(), "xx")]
-    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
-    labels = spark.createDataFrame([(i, 1, 0) for i in range(60)] + [(200, 0, 0), (1, 1, None)], "doc_id long, quality int, toxic int")
-    got = {r.doc_id: r for r in lm.judge(df, labels).collect()}
-    assert len(got) == len(rows)
-    assert all(not got[200 + i].kept for i in range(5)) and sum(got[i].kept for i in range(120)) >= 117
-    assert got[300].perplexity is None and not got[300].kept and got[302].kept
-    model = lm.train(df.where("doc_id < 60").select("lang", "text"), 3)
-    import numpy as np
-
-    for table in model.values():
-        p = np.exp(table.astype(float)).reshape(-1, lm.SYMBOLS).sum(axis=1)
-        assert np.allclose(p, 1, atol=1e-4)
-    none = lm.judge(df, labels.limit(0)).collect()
-    assert len(none) == len(rows)
