@@ -11,6 +11,7 @@ from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -139,6 +140,24 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+def packed(*parts: np.ndarray, level: int = 1) -> bytes:
+    """Arrays of one length, each byte of their values apart (as equal bytes compress), compressed."""
+    planes = [np.ascontiguousarray(x).view(np.uint8).reshape(len(x), -1).T.tobytes() for x in parts]
+    return zstandard.ZstdCompressor(level=level).compress(np.int64(len(parts[0])).tobytes() + b"".join(planes))
+
+
+def unpacked(body: bytes, *kinds: str) -> list[np.ndarray]:
+    """The arrays that ``packed`` was given, of these types."""
+    body = zstandard.ZstdDecompressor().decompress(body)
+    n, at, out = int(np.frombuffer(body, np.int64, 1)[0]), 8, []
+    for kind in kinds:
+        width = np.dtype(kind).itemsize
+        planes = np.frombuffer(body, np.uint8, n * width, at).reshape(width, n)
+        out.append(np.ascontiguousarray(planes.T).view(kind).ravel())
+        at += n * width
+    return out
+
+
 def signed(x: np.ndarray) -> np.ndarray:
     return x.view(np.int64)
 

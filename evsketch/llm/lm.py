@@ -38,7 +38,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import mix64, released, shared_dir, small, staged
+from evsketch.llm.common import mix64, packed, released, shared_dir, small, staged, unpacked
 
 #: UTF-8 bytes of text in a blob; it ends after the document that reaches them.
 BLOB = 12 << 20
@@ -158,7 +158,7 @@ class Blobs:
             keys, langs, texts, size, number = [], [], [], 0, TaskContext.get().partitionId() << 32
             key_type = None
 
-            def packed() -> pa.RecordBatch:
+            def blob() -> pa.RecordBatch:
                 body = zstandard.ZstdCompressor(level=4).compress("".join(pads + t for t in texts).encode())
                 cols = [pa.array([number]), pa.array([size]), pa.array([keys], pa.list_(key_type)), pa.array([langs], pa.list_(pa.string())), pa.array([[len(t) for t in texts]], pa.list_(pa.int32())), pa.array([body], pa.binary())]
                 return pa.RecordBatch.from_arrays(cols, ["blob", "size", "keys", "langs", "chars", "body"])
@@ -172,10 +172,10 @@ class Blobs:
                     texts.append(t)
                     size += len(t) if t.isascii() else len(t.encode())
                     if size >= BLOB:
-                        yield packed()
+                        yield blob()
                         keys, langs, texts, size, number = [], [], [], 0, number + 1
             if keys:
-                yield packed()
+                yield blob()
 
         rows = docs.select(F.col(key).alias("k"), F.col(text).cast("string").alias("t"), F.col(lang).cast("string").alias("l"))
         blobs = rows.mapInArrow(run, f"blob long, size long, keys array<{self.kind}>, langs array<string>, chars array<int>, body binary")
@@ -277,23 +277,6 @@ def train(counts: DataFrame, order: int) -> tuple[DataFrame, float, float]:
 # -- questions and answers -----------------------------------------------------------------------
 
 
-def _bytes(*parts: np.ndarray) -> bytes:
-    """Arrays of one length, a plane a byte, compressed."""
-    planes = [np.ascontiguousarray(x).view(np.uint8).reshape(len(x), -1).T.tobytes() for x in parts]
-    return zstandard.ZstdCompressor(level=1).compress(np.int64(len(parts[0])).tobytes() + b"".join(planes))
-
-
-def _arrays(body: bytes, *kinds: str) -> list[np.ndarray]:
-    body = zstandard.ZstdDecompressor().decompress(body)
-    n, at, out = int(np.frombuffer(body, np.int64, 1)[0]), 8, []
-    for kind in kinds:
-        width = np.dtype(kind).itemsize
-        planes = np.frombuffer(body, np.uint8, n * width, at).reshape(width, n)
-        out.append(np.ascontiguousarray(planes.T).view(kind).ravel())
-        at += n * width
-    return out
-
-
 def _split(keys: np.ndarray, log: int) -> tuple[np.ndarray, np.ndarray]:
     """Order of the keys, and where each of 2**log shards begins in it."""
     order = np.argsort(keys)
@@ -323,7 +306,7 @@ def entries_by_shard(model: DataFrame, log: int) -> DataFrame:
             p, left = (batch.column(c).to_numpy(zero_copy_only=False).astype(np.float32) for c in ("p", "left"))  # null: not a number
             order, edge = _split(keys, log)
             shards = np.flatnonzero(np.diff(edge))
-            packs = [_bytes(keys[o], p[o], left[o]) for o in (order[edge[s] : edge[s + 1]] for s in shards)]
+            packs = [packed(keys[o], p[o], left[o]) for o in (order[edge[s] : edge[s + 1]] for s in shards)]
             yield pa.RecordBatch.from_arrays([pa.array(shards.astype(np.int32)), pa.array(packs, pa.binary())], ["shard", "body"])
 
     return model.mapInArrow(run, "shard int, body binary")
@@ -339,7 +322,7 @@ def answers(blobs: DataFrame, model: DataFrame, order: int, log: int, salts: int
                 o, edge = _split(keys, log)
                 keys = keys[o]
                 some = np.flatnonzero(np.diff(edge))
-                packs = [_bytes(np.diff(keys[edge[s] : edge[s + 1]], prepend=np.uint64(0))) for s in some]
+                packs = [packed(np.diff(keys[edge[s] : edge[s + 1]], prepend=np.uint64(0))) for s in some]
                 n = len(some)
                 yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array([blob % salts] * n, pa.int32()), pa.array([blob] * n), pa.array(packs, pa.binary())], ["shard", "salt", "blob", "body"])
 
@@ -351,13 +334,13 @@ def answers(blobs: DataFrame, model: DataFrame, order: int, log: int, salts: int
                 if (shard, salt) != here:
                     here, parts, known = (shard, salt), [], None
                 if blob < 0:
-                    parts.append(_arrays(body.as_py(), "u8", "f4", "f4"))
+                    parts.append(unpacked(body.as_py(), "u8", "f4", "f4"))
                     continue
                 if known is None:
                     known = [np.concatenate([x, *(q[i] for q in parts)]) for i, x in enumerate((np.zeros(0, "u8"), np.zeros(0, "f4"), np.zeros(0, "f4")))]
                     o = np.argsort(known[0])
                     known = [x[o] for x in known]
-                asked = np.cumsum(_arrays(body.as_py(), "u8")[0], dtype=np.uint64)
+                asked = np.cumsum(unpacked(body.as_py(), "u8")[0], dtype=np.uint64)
                 p, left = (np.full(len(asked), np.nan, "f4") for _ in range(2))
                 if len(known[0]):
                     at = np.minimum(np.searchsorted(known[0], asked), len(known[0]) - 1)
@@ -365,7 +348,7 @@ def answers(blobs: DataFrame, model: DataFrame, order: int, log: int, salts: int
                     p[hit], left[hit] = known[1][at[hit]], known[2][at[hit]]
                 blobs_.append(blob)
                 shards.append(shard)
-                out.append(_bytes(p, left))
+                out.append(packed(p, left))
             yield pa.RecordBatch.from_arrays([pa.array(blobs_, pa.int64()), pa.array(shards, pa.int32()), pa.array(out, pa.binary())], ["blob", "shard", "body"])
 
     asked = blobs.select("blob", "body").mapInArrow(ask, "shard int, salt int, blob long, body binary")
@@ -392,7 +375,7 @@ def scores(blobs: Blobs, model: DataFrame, rest: float, flat: float, order: int)
                 p, left = np.full(len(asked), np.nan), np.full(len(asked), np.nan)
                 for x in got:
                     s = x["shard"].as_py()
-                    p[o[edge[s] : edge[s + 1]]], left[o[edge[s] : edge[s + 1]]] = _arrays(x["body"].as_py(), "f4", "f4")
+                    p[o[edge[s] : edge[s + 1]]], left[o[edge[s] : edge[s + 1]]] = unpacked(x["body"].as_py(), "f4", "f4")
                 left[np.isnan(left)] = 1  # an unseen context leaves all
                 start, below, weight = 0, np.full(1, flat), np.full(1, rest)
                 for w in levels:

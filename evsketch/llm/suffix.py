@@ -13,7 +13,8 @@ whole and are not read further. Then, in narrow passes over the rest:
 1. anchor hashes of each document, packed and dealt by hash range, give those that two documents or
    more share and those that more than ``HOT`` do, noted in two bitmaps of fixed size (they only
    spare or route work: full bitmaps give the same result);
-2. a noted anchor's context (the windows it stands for) goes to the task of its anchor, whose suffix
+2. a noted anchor's context (the windows it stands for) goes to the task of its anchor, packed with
+   its document's key (and text hash, if the key has several texts), whose suffix
    array covers a bounded batch of different contexts; its intervals say which bytes of each context
    occur in an earlier document;
 3. contexts of hot anchors are aggregated by content, then by window, and joined back, so no task
@@ -36,7 +37,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import empty_safe, fresh, mix64, raw, released, slices, staged
+from evsketch.llm.common import empty_safe, fresh, mix64, packed, raw, released, slices, staged, unpacked
 
 LEAST = 50
 ANCHOR = 16
@@ -195,13 +196,12 @@ def _tasks(df: DataFrame, ranges: int) -> int:
 
 
 def _pack(h40: np.ndarray) -> bytes:
-    return np.ascontiguousarray(h40.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5]).tobytes()
+    """Sorted values by their differences."""
+    return packed(np.diff(h40, prepend=np.uint64(0)))
 
 
-def _unpack(packed: bytes) -> np.ndarray:
-    out = np.zeros((len(packed) // 5, 8), np.uint8)
-    out[:, :5] = np.frombuffer(packed, np.uint8).reshape(-1, 5)
-    return out.view("<u8").ravel()
+def _unpack(body: bytes) -> np.ndarray:
+    return np.cumsum(unpacked(body, "u8")[0], dtype=np.uint64)
 
 
 def repeated_anchors(docs: DataFrame, keep, ranges: int, most: int = HOT) -> tuple[bytes, bytes]:
@@ -255,10 +255,10 @@ def repeated_anchors(docs: DataFrame, keep, ranges: int, most: int = HOT) -> tup
             return pa.RecordBatch.from_arrays([pa.array([r], pa.int32()), pa.array([bits_of(twice, r, ANCHOR_BITS)], pa.binary()), pa.array([bits_of(often, r, HOT_BITS)], pa.binary())], ["range", "bits", "hot"])
 
         for batch in batches:  # sorted by range
-            for r, packed in zip(batch.column("range").to_pylist(), batch.column("packed").to_pylist(), strict=True):
+            for r, body in zip(batch.column("range").to_pylist(), batch.column("packed").to_pylist(), strict=True):
                 for done in [x for x in parts if x != r]:
                     yield marked(done)
-                parts.setdefault(r, []).append(_unpack(packed))
+                parts.setdefault(r, []).append(_unpack(body))
         for r in list(parts):
             yield marked(r)
 
@@ -278,28 +278,29 @@ def _has(bits: np.ndarray, at: np.ndarray) -> np.ndarray:
 # -- pass 2: contexts ------------------------------------------------------------------------
 
 #: Contexts that a worker gathers before it writes them out.
-HELD = 100_000
+HELD = 200_000
 
 
-def _blob(kh, doc, th, at, ctx: list[bytes]) -> bytes:
-    """Rows of contexts, column by column, compressed."""
+def _blob(doc, tag, at, inner, ctx: list[bytes]) -> bytes:
+    """Rows of contexts, column by column, compressed; ``inner`` is where a context's anchor begins."""
     size = np.fromiter(map(len, ctx), np.uint8, len(ctx))
-    parts = [np.array([len(ctx)], np.int64), kh, doc, th, at.astype(np.int32), size]
-    return zstandard.ZstdCompressor(level=5).compress(b"".join([x.tobytes() for x in parts] + ctx))
+    head = packed(np.diff(doc, prepend=0), tag, at, inner, size)
+    return np.int64(len(head)).tobytes() + head + zstandard.ZstdCompressor(level=7).compress(b"".join(ctx))
 
 
 def _rows(blob: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, list[bytes]]:
-    body = zstandard.ZstdDecompressor().decompress(blob)
-    n = int(np.frombuffer(body, np.int64, 1)[0])
-    kh, doc, th = (np.frombuffer(body, np.int64, n, 8 + 8 * n * i) for i in range(3))
-    at, size = np.frombuffer(body, np.int32, n, 8 + 24 * n), np.frombuffer(body, np.uint8, n, 8 + 28 * n)
-    ends = (8 + 29 * n + np.cumsum(size, dtype=np.int64)).tolist()
-    return kh, doc, th, at, [body[e - z : e] for e, z in zip(ends, size.tolist(), strict=True)]
+    """Names of the anchors, documents, tags, positions and contexts."""
+    cut = 8 + int(np.frombuffer(blob, np.int64, 1)[0])
+    doc, tag, at, inner, size = unpacked(blob[8:cut], "i8", "i8", "i4", "u1", "u1")
+    body = zstandard.ZstdDecompressor().decompress(blob[cut:])
+    ends = np.cumsum(size, dtype=np.int64)
+    name = names_of(anchor_hashes(np.frombuffer(body, np.uint8))[ends - size + inner]).view(np.int64)
+    return name, np.cumsum(doc), tag, at, [body[e - z : e] for e, z in zip(ends.tolist(), size.tolist(), strict=True)]
 
 
 def contexts(docs: DataFrame, keep, noted: tuple[bytes, bytes], ranges: int, common: bool) -> DataFrame:
     """Contexts of the noted anchors: packed by hash range (range, blob); or, with ``common``, those of
-    hot anchors, a row each (doc, th, at, ctx)."""
+    hot anchors, a row each (doc, tag, at, ctx)."""
     holder = docs.sparkSession.sparkContext.broadcast(noted)
     span = LEAST - ANCHOR + 1
     log = (ranges - 1).bit_length()
@@ -310,8 +311,8 @@ def contexts(docs: DataFrame, keep, noted: tuple[bytes, bytes], ranges: int, com
         size = 0
 
         def flushed():
-            kh, doc, th, at = (np.concatenate([h[i] for h in held]) for i in range(4))
-            ctx = [c for h in held for c in h[4]]
+            kh, doc, tag, at, inner = (np.concatenate([h[i] for h in held]) for i in range(5))
+            ctx = [c for h in held for c in h[5]]
             held.clear()
             to = (kh.view(np.uint64) >> np.uint64(64 - log)).astype(np.int64) if log else np.zeros(len(kh), np.int64)
             order = np.argsort(to, kind="stable")
@@ -320,11 +321,11 @@ def contexts(docs: DataFrame, keep, noted: tuple[bytes, bytes], ranges: int, com
             blobs = []
             for i, j in zip(bounds, bounds[1:], strict=False):
                 o = order[i:j]
-                blobs.append(_blob(kh[o], doc[o], th[o], at[o], [ctx[x] for x in o.tolist()]))
+                blobs.append(_blob(doc[o], tag[o], at[o], inner[o], [ctx[x] for x in o.tolist()]))
             return pa.RecordBatch.from_arrays([pa.array(some_.astype(np.int32)), pa.array(blobs, pa.binary())], ["range", "blob"])
 
         for batch in map(keep, released(batches)):
-            keys, marks = batch.column("doc").to_numpy(), batch.column("th").to_numpy()
+            keys, marks = batch.column("doc").to_numpy(), batch.column("tag").to_numpy()
             for a, body, cut in _texts(batch):
                 at, h, low = anchors(body, cut)
                 name = names_of(h[at])
@@ -339,11 +340,11 @@ def contexts(docs: DataFrame, keep, noted: tuple[bytes, bytes], ranges: int, com
                 owner = np.searchsorted(cut, at, "right") - 1
                 whole = body.tobytes()
                 ctx = [whole[i : j + LEAST] for i, j in zip(first.tolist(), last.tolist(), strict=True)]
-                kh, doc, th, begin = name.view(np.int64), keys[a + owner], marks[a + owner], (first - cut[owner]).astype(np.int32)
+                kh, doc, tag, begin, inner = name.view(np.int64), keys[a + owner], marks[a + owner], (first - cut[owner]).astype(np.int32), (at - first).astype(np.uint8)
                 if common:
-                    yield pa.RecordBatch.from_arrays([pa.array(doc), pa.array(th), pa.array(begin), pa.array(ctx, pa.binary())], ["doc", "th", "at", "ctx"])
+                    yield pa.RecordBatch.from_arrays([pa.array(doc), pa.array(tag), pa.array(begin), pa.array(ctx, pa.binary())], ["doc", "tag", "at", "ctx"])
                     continue
-                held.append((kh, doc, th, begin, ctx))
+                held.append((kh, doc, tag, begin, inner, ctx))
                 size += len(kh)
                 if size >= HELD:
                     yield flushed()
@@ -351,7 +352,7 @@ def contexts(docs: DataFrame, keep, noted: tuple[bytes, bytes], ranges: int, com
         if size:
             yield flushed()
 
-    return docs.mapInArrow(run, "doc long, th long, at int, ctx binary" if common else "range int, blob binary")
+    return docs.mapInArrow(run, "doc long, tag long, at int, ctx binary" if common else "range int, blob binary")
 
 
 # -- pass 3: suffix arrays of contexts -------------------------------------------------------
@@ -442,8 +443,8 @@ def _runs(name: np.ndarray, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, n
     return name[at], a[at], np.maximum.reduceat(b, at)
 
 
-def _solve(kh, doc, th, at, body: list[bytes]) -> pa.RecordBatch:
-    """Spans (doc, th, a, b) of the documents of whole anchors."""
+def _solve(kh, doc, tag, at, body: list[bytes]) -> pa.RecordBatch:
+    """Spans (doc, tag, a, b) of the documents of whole anchors."""
     number: dict[bytes, int] = {}
     kind = np.fromiter((number.setdefault(c, len(number)) for c in body), np.int64, len(body))
     kinds = list(number)
@@ -466,24 +467,24 @@ def _solve(kh, doc, th, at, body: list[bytes]) -> pa.RecordBatch:
         lengths.append(np.repeat(end - start, n))
     row, start, length = (np.concatenate(x) for x in (rows, starts, lengths))
     a = at[row] + start
-    text, back = np.unique(np.stack([doc[row], th[row]], axis=1), axis=0, return_inverse=True)
+    text, back = np.unique(np.stack([doc[row], tag[row]], axis=1), axis=0, return_inverse=True)
     name, a, b = _runs(back.ravel(), a, a + length)
-    return pa.RecordBatch.from_arrays([pa.array(text[name, 0]), pa.array(text[name, 1]), pa.array(a.astype(np.int32)), pa.array(b.astype(np.int32))], ["doc", "th", "a", "b"])
+    return pa.RecordBatch.from_arrays([pa.array(text[name, 0]), pa.array(text[name, 1]), pa.array(a.astype(np.int32)), pa.array(b.astype(np.int32))], ["doc", "tag", "a", "b"])
 
 
 def cold_spans(packed: DataFrame, ranges: int) -> DataFrame:
-    """(doc, th, a, b) from the packed contexts, a hash range at a time, whole anchors at a time."""
+    """(doc, tag, a, b) from the packed contexts, a hash range at a time, whole anchors at a time."""
 
     def solved(blobs: list[bytes]):
         got = [_rows(b) for b in blobs]
-        kh, doc, th, at = (np.concatenate([g[i] for g in got]) for i in range(4))
+        kh, doc, tag, at = (np.concatenate([g[i] for g in got]) for i in range(4))
         ctx = [c for g in got for c in g[4]]
         order = np.argsort(kh, kind="stable")
-        kh, doc, th, at, a = kh[order], doc[order], th[order], at[order], 0
+        kh, doc, tag, at, a = kh[order], doc[order], tag[order], at[order], 0
         order = order.tolist()
         while a < len(kh):
             b = int(np.searchsorted(kh, kh[min(a + BATCH, len(kh)) - 1], "right"))
-            yield _solve(kh[a:b], doc[a:b], th[a:b], at[a:b], [ctx[i] for i in order[a:b]])
+            yield _solve(kh[a:b], doc[a:b], tag[a:b], at[a:b], [ctx[i] for i in order[a:b]])
             a = b
 
     def run(batches):
@@ -499,17 +500,17 @@ def cold_spans(packed: DataFrame, ranges: int) -> DataFrame:
             yield from solved(held)
 
     dealt = packed.repartition(_tasks(packed, ranges), "range").sortWithinPartitions("range")
-    return dealt.mapInArrow(run, "doc long, th long, a int, b int")
+    return dealt.mapInArrow(run, "doc long, tag long, a int, b int")
 
 
 def hot_spans(found: DataFrame) -> DataFrame:
-    """(doc, th, a, b) from the contexts of common anchors, by aggregation alone."""
+    """(doc, tag, a, b) from the contexts of common anchors, by aggregation alone."""
     kinds = staged(found.groupBy("ctx").agg(F.min("doc").alias("first")))
     windows = kinds.select("ctx", "first", F.explode(F.sequence(F.lit(0), F.length("ctx") - LEAST)).alias("s")).withColumn("w", F.substring("ctx", F.col("s") + 1, F.lit(LEAST)))
     firsts = staged(windows.groupBy("w").agg(F.min("first").alias("f")))
     lost = staged(windows.join(firsts, "w").groupBy("ctx").agg(F.collect_list(F.struct("s", "f")).alias("lost")))
-    each = found.join(lost, "ctx").select("doc", "th", "at", F.explode("lost").alias("x")).where("doc > x.f")
-    return each.select("doc", "th", (F.col("at") + F.col("x.s")).alias("a"), (F.col("at") + F.col("x.s") + LEAST).alias("b"))
+    each = found.join(lost, "ctx").select("doc", "tag", "at", F.explode("lost").alias("x")).where("doc > x.f")
+    return each.select("doc", "tag", (F.col("at") + F.col("x.s")).alias("a"), (F.col("at") + F.col("x.s") + LEAST).alias("b"))
 
 
 # -- pass 4: the documents -------------------------------------------------------------------
@@ -525,17 +526,29 @@ def _merge(spans) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def _named(docs: DataFrame, key: str, text: str) -> DataFrame:
-    """(doc, text, th, t2): documents that have a window, their texts named by two hashes."""
-    t = F.col(text)
-    return docs.select(F.col(key).cast("long").alias("doc"), t.alias("text"), F.xxhash64(t).alias("th"), F.xxhash64(F.lit(7), t).alias("t2")).where(F.octet_length("text") >= LEAST)
+#: Keys of several texts that are broadcast.
+SEVERAL = 1_000_000
+
 
+def tagged(rows: DataFrame, several: DataFrame | None, key: str, th: str, tag: str) -> DataFrame:
+    """``rows`` with their tag, which tells texts of one key apart: ``th``, or 0 if the key has but one text."""
+    if several is None:
+        return rows.withColumn(tag, F.col(th))
+    other = fresh(rows, "several")
+    with_ = rows.join(F.broadcast(several.select(F.col("doc").alias(other))), F.col(key).cast("long") == F.col(other), "left")
+    return with_.withColumn(tag, F.when(F.col(other).isNull(), F.lit(0).cast("long")).otherwise(F.col(th))).drop(other)
 
-def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", hot: int = HOT) -> DataFrame:
-    """(doc, th, cut): for each document that loses bytes, th the hash of its text, its merged runs
-    as array<struct<a, b>>. Documents are named by key and text."""
-    source = _named(docs, key, text)
-    names = staged(source.select("doc", "th", "t2", F.octet_length("text").alias("n")).where("doc is not null"))
+
+def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", hot: int = HOT) -> tuple[DataFrame, DataFrame | None]:
+    """(doc, tag, cut): for each document that loses bytes its merged runs as array<struct<a, b>>; and
+    the keys of several texts (None if there are more than SEVERAL). Documents are named by key and tag."""
+    t = F.col(text)
+    source = docs.select(F.col(key).cast("long").alias("doc"), t.alias("text"), F.xxhash64(t).alias("th"), F.xxhash64(F.lit(7), t).alias("t2")).where("doc is not null")
+    names = staged(source.select("doc", "th", "t2", F.coalesce(F.octet_length("text"), F.lit(0)).alias("n")))
+    several = staged(names.groupBy("doc").agg(F.min("th").alias("a"), F.max("th").alias("b")).where("a <> b").select("doc"))
+    if several.count() > SEVERAL:
+        several = None
+    names = names.where(F.col("n") >= LEAST)  # shorter ones have no window
     copied = staged(names.groupBy("th", "t2", "n").agg(F.min("doc").alias("first"), F.max("doc").alias("last")).where("last > first"))
     copies = bitmap(copied.select(F.col("th").alias("at")), CHANGED_BITS)
     mask = np.uint64((1 << CHANGED_BITS) - 1)
@@ -556,22 +569,23 @@ def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", hot: int = H
         th, own = (batch.column(c).to_numpy().view(np.uint64) & mask for c in ("th", "name"))
         return batch.filter(pa.array(~_has(copy, th) | _has(lead, own)))
 
-    rest = source.where("doc is not null").select("doc", "text", "th", F.xxhash64("doc", "th").alias("name"))
+    rest = source.where(F.octet_length("text") >= LEAST).select("doc", "text", "th", F.xxhash64("doc", "th").alias("name"))
     parts = docs.rdd.getNumPartitions()
     noted = repeated_anchors(rest, keep, parts, hot)
     ranges = 1 << max(8, (4 * parts - 1).bit_length())
+    rest = tagged(rest, several, "doc", "th", "tag")
     every = cold_spans(contexts(rest, keep, noted, ranges, False), ranges)
     if any(noted[1]):
         every = every.union(hot_spans(staged(contexts(rest, keep, noted, ranges, True))))
-    gone = known.where("doc > first").select("doc", "th", F.lit(0).alias("a"), F.col("n").alias("b"))
+    gone = tagged(known.where("doc > first"), several, "doc", "th", "tag").select("doc", "tag", F.lit(0).alias("a"), F.col("n").alias("b"))
     every = every.union(gone)
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         cut = [[{"a": a, "b": b} for a, b in _merge((x["a"], x["b"]) for x in xs)] for xs in batch.column("cut").to_pylist()]
-        return pa.RecordBatch.from_arrays([batch.column("doc"), batch.column("th"), pa.array(cut, pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())])))], ["doc", "th", "cut"])
+        return pa.RecordBatch.from_arrays([batch.column("doc"), batch.column("tag"), pa.array(cut, pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())])))], ["doc", "tag", "cut"])
 
-    gathered = every.groupBy("doc", "th").agg(F.collect_set(F.struct("a", "b")).alias("cut"))
-    return staged(gathered.mapInArrow(lambda bs: (run(b) for b in bs if b.num_rows), "doc long, th long, cut array<struct<a:long,b:long>>"))
+    gathered = every.groupBy("doc", "tag").agg(F.collect_set(F.struct("a", "b")).alias("cut"))
+    return staged(gathered.mapInArrow(lambda bs: (run(b) for b in bs if b.num_rows), "doc long, tag long, cut array<struct<a:long,b:long>>")), several
 
 
 def bitmap(rows: DataFrame, wide: int) -> bytes:
@@ -588,12 +602,12 @@ def _both(docs: DataFrame, key: str, text: str, fn, schema: str, hot: int) -> Da
     """``fn(batch, cut)`` over all rows; cut is null where nothing goes. Runs of at most
     SMALL bytes in all are broadcast; beyond that, texts that a bitmap doesn't note are done where
     they are read and the others are joined to their runs."""
-    lost = spans(docs, key, text, hot)
+    lost, several = spans(docs, key, text, hot)
     n, m = lost.agg(F.count("*"), F.coalesce(F.sum(F.size("cut")), F.lit(0))).first()
-    th, cut_ = fresh(docs, "th"), fresh(docs, "cut")
-    doc_, th_ = fresh(docs, "doc2"), fresh(docs, "th2")
-    named = docs.withColumn(th, F.xxhash64(text))
-    cut = lost.select(F.col("doc").alias(doc_), F.col("th").alias(th_), F.col("cut").alias(cut_))
+    th, tag, cut_ = fresh(docs, "th"), fresh(docs, "tag"), fresh(docs, "cut")
+    doc_, tag_, name = fresh(docs, "doc2"), fresh(docs, "tag2"), fresh(docs, "name")
+    named = tagged(docs.withColumn(th, F.xxhash64(text)), several, key, th, tag).drop(th)
+    cut = lost.select(F.col("doc").alias(doc_), F.col("tag").alias(tag_), F.col("cut").alias(cut_))
 
     def run(batches):
         for b in released(batches):
@@ -601,17 +615,18 @@ def _both(docs: DataFrame, key: str, text: str, fn, schema: str, hot: int) -> Da
                 yield fn(b, b.column(cut_))
 
     def joined(rows: DataFrame, runs_: DataFrame) -> DataFrame:
-        out = rows.join(runs_, (F.col(key).cast("long") == F.col(doc_)) & (F.col(th) == F.col(th_)), "left")
+        out = rows.join(runs_, (F.col(key).cast("long") == F.col(doc_)) & (F.col(tag) == F.col(tag_)), "left")
         return out.select(*docs.columns, cut_).mapInArrow(run, schema)
 
     if 64 * n + 32 * m <= SMALL:
         return joined(named, F.broadcast(cut))
-    holder = docs.sparkSession.sparkContext.broadcast(bitmap(lost.select(F.col("th").alias("at")), CHANGED_BITS))
+    holder = docs.sparkSession.sparkContext.broadcast(bitmap(lost.select(F.xxhash64("doc", "tag").alias("at")), CHANGED_BITS))
+    named = named.withColumn(name, F.xxhash64(F.col(key).cast("long"), tag))
     mask = np.uint64((1 << CHANGED_BITS) - 1)
     runs = pa.list_(pa.struct([("a", pa.int64()), ("b", pa.int64())]))
 
     def noted(batch: pa.RecordBatch) -> np.ndarray:
-        return _has(np.frombuffer(holder.value, np.uint8), batch.column(th).to_numpy().view(np.uint64) & mask)
+        return _has(np.frombuffer(holder.value, np.uint8), batch.column(name).to_numpy().view(np.uint64) & mask)
 
     def same(batches):
         for batch in batches:
