@@ -76,6 +76,16 @@ def fresh(df: DataFrame, name: str) -> str:
     return name
 
 
+def bitmap(rows: DataFrame, wide: int) -> bytes:
+    """The bitmap of the low ``wide`` bits of column ``at``: 2**wide bits, whatever the rows."""
+    at = F.expr(f"(at & {(1 << wide) - 1}) + 1")  # Spark's bitmap functions count from 1
+    parts = rows.select(at.alias("at")).groupBy(F.bitmap_bucket_number(F.col("at")).alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(F.col("at"))).alias("bits")).collect()
+    out = bytearray(1 << (wide - 3))
+    for r in parts:  # 2**(wide - 15) rows of 4 KiB at most
+        out[(r.b - 1) * 4096 : r.b * 4096] = r.bits
+    return bytes(out)
+
+
 def empty_safe(column: pa.Array | pa.ChunkedArray) -> pa.Array:
     """The text column as one large_string array, null read as empty."""
     if isinstance(column, pa.ChunkedArray):

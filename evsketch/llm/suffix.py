@@ -37,7 +37,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.common import empty_safe, fresh, mix64, packed, raw, released, slices, staged, unpacked
+from evsketch.llm.common import bitmap, empty_safe, fresh, mix64, packed, raw, released, slices, staged, unpacked
 
 LEAST = 50
 ANCHOR = 16
@@ -588,16 +588,6 @@ def spans(docs: DataFrame, key: str = "doc_id", text: str = "text", hot: int = H
     return staged(gathered.mapInArrow(lambda bs: (run(b) for b in bs if b.num_rows), "doc long, tag long, cut array<struct<a:long,b:long>>")), several
 
 
-def bitmap(rows: DataFrame, wide: int) -> bytes:
-    """The bitmap of the low ``wide`` bits of column ``at``."""
-    at = F.expr(f"(at & {(1 << wide) - 1}) + 1")  # Spark's bitmap functions count from 1
-    parts = rows.select(at.alias("at")).groupBy(F.bitmap_bucket_number(F.col("at")).alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(F.col("at"))).alias("bits")).collect()
-    out = bytearray(1 << (wide - 3))
-    for r in parts:  # 2**(wide - 15) rows of 4 KiB at most
-        out[(r.b - 1) * 4096 : r.b * 4096] = r.bits
-    return bytes(out)
-
-
 def _both(docs: DataFrame, key: str, text: str, fn, schema: str, hot: int) -> DataFrame:
     """``fn(batch, cut)`` over all rows; cut is null where nothing goes. Runs of at most
     SMALL bytes in all are broadcast; beyond that, texts that a bitmap doesn't note are done where
