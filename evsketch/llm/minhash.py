@@ -369,12 +369,13 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", wi
         out = members.join(mine, "cid", "left").join(hubs_, "hub", "left")
         return out.select("bucket", "c", "cid", "hub", F.coalesce("root", "cid").alias("root"), F.coalesce("hub_root", "hub").alias("hub_root"))
 
-    # a bucket's members against its hub, where sizes and bits allow a link
-    member = members.join(bits.select("cid", F.col("n").alias("nx"), *[F.col(f"m{i}").alias(f"x{i}") for i in range(words)]), "cid")
+    # A bucket's members against its hub, where sizes and bits allow a link. Pairs are made single before
+    # the join on the hub: nothing needs its rows together then, so that Spark can split a hub of many.
+    met = members.where("cid <> hub").groupBy("hub", "cid").agg(F.min("band").alias("band"))
+    member = met.join(bits.select("cid", F.col("n").alias("nx"), *[F.col(f"m{i}").alias(f"x{i}") for i in range(words)]), "cid")
     hub = bits.select(F.col("cid").alias("a"), F.col("n").alias("ny"), *[F.col(f"m{i}").alias(f"y{i}") for i in range(words)])
-    allowed = (F.col("cid") != F.col("a")) & fits(F.col("nx"), F.col("ny")) & (_agreement(words, how.slots, "x", "y") >= likely)
-    star = member.join(hub, (F.col("hub") == F.col("a")) & allowed).groupBy("a", F.col("cid").alias("b")).agg(F.min("band").alias("band"))
-    star = staged(star)
+    allowed = fits(F.col("nx"), F.col("ny")) & (_agreement(words, how.slots, "x", "y") >= likely)
+    star = staged(member.join(hub, (F.col("hub") == F.col("a")) & allowed).select("a", F.col("cid").alias("b"), "band"))
     # one round over few bands, one over what it left apart
     edges = staged(links(star.where(F.col("band") < how.first).select("a", "b")))
     roots = components(edges)
