@@ -18,7 +18,8 @@ from evsketch.workloads.common import K, K_FULL, SEEDS, WORD, c, e, query, regs,
 from evsketch.workloads.methods import EPS, z6
 
 KS = (16, 64, 256, 1024)
-NS = (64, 512, 4096, 15000)
+#: Key bounds of the sweep over n; 0 is the whole table.
+NS = (64, 512, 4096, 15000, 0)
 
 
 def _items(spark, sf_dir, table="orders", col="o_orderkey"):
@@ -67,16 +68,16 @@ def a_error_sweep_k(spark, sf_dir):
 
 
 _NSQL = " union all ".join(
-    f"select {n} as below, z, n, z >= 512 as in_regime, seed, 64 as k from (select seed, {_GEO} as z from {_runs('(select seed, h, w from ' + _draws() + f' where item < {n})', (64,))} group by k, seed) cross join (select count(distinct o_orderkey)::double as n from orders where o_orderkey < {n})" for n in NS
+    f"select {n} as below, z, n, z >= 512 as in_regime, seed, 64 as k from (select seed, {_GEO} as z from {_runs('(select seed, h, w from ' + _draws() + (f' where item < {n})' if n else ')'), (64,))} group by k, seed) cross join (select count(distinct o_orderkey)::double as n from orders{f' where o_orderkey < {n}' if n else ''})" for n in NS
 )
 
 
 @query(f"select below, {_SUMMARY}, count(*) filter (where in_regime) as runs_in_regime from ({_NSQL}) group by below")
 def a_error_sweep_n(spark, sf_dir):
-    """Error against n at k = 64, crossing n = k**1.5 = 512."""
-    out = None
+    """Error against n at k = 64, crossing n = k**1.5 = 512, up to the whole table (below = 0)."""
+    out, orders = None, load(spark, sf_dir, "orders")
     for n in NS:
-        items = rg.items(load(spark, sf_dir, "orders").where(F.col("o_orderkey") < n), "o_orderkey")
+        items = rg.items(orders.where(F.col("o_orderkey") < n) if n else orders, "o_orderkey")
         runs = ac.seeded_registers(ac.seeded_draws(items, SEEDS), (64,), SEEDS)
         z = runs.groupBy("k", "seed").agg(ac.geometric(F.col("k")).alias("z"))
         exact = items.agg(F.count_distinct("item").cast("double").alias("n"))
