@@ -73,7 +73,6 @@ def _ranks(codes, size: int, many: int) -> tuple[np.ndarray, np.ndarray]:
     """Different values of a sequence, sorted, and each position's rank. ``codes(a, b)`` gives
     positions [a, b) of ``size``; values lie below ``many``."""
     spots = [(a, min(size, a + CHUNK)) for a in range(0, size, CHUNK)]
-    rank = np.empty(size, np.int32)
     if many <= DIRECT:
         seen = np.zeros(many, bool)
         for a, b in spots:
@@ -81,12 +80,14 @@ def _ranks(codes, size: int, many: int) -> tuple[np.ndarray, np.ndarray]:
         found = np.flatnonzero(seen)
         place = np.cumsum(seen, dtype=np.int32)
         place -= 1
+        rank = np.empty(size, np.uint16 if len(found) <= 1 << 16 else np.int32)
         for a, b in spots:
             rank[a:b] = place[codes(a, b)]
         return found, rank
     found = np.zeros(0, np.int64)
     for a, b in spots:
         found = np.union1d(found, codes(a, b))
+    rank = np.empty(size, np.int32)
     for a, b in spots:
         rank[a:b] = np.searchsorted(found, codes(a, b))
     return found, rank
@@ -113,7 +114,9 @@ def symbol_hash(symbols: np.ndarray) -> np.ndarray:
 def windows(text: np.ndarray, order: int) -> tuple[list[Windows], np.ndarray]:
     """Windows of 1 to ``order`` symbols of ``text`` (code points that start with order-1 pads), and
     for each position the rank of the largest one that ends there."""
-    alphabet, one = _ranks(lambda a, b: text[a:b], len(text), 0x110000)
+    size = len(text)
+    alphabet, one = _ranks(lambda a, b: text[a:b], size, 0x110000)
+    del text  # the caller holds no reference, so its memory is free
     many, marks = max(1, len(alphabet)), symbol_hash(alphabet)
     none = np.zeros(len(alphabet), np.int64)
     out = [Windows(none, none, alphabet, marks)]
@@ -124,7 +127,7 @@ def windows(text: np.ndarray, order: int) -> tuple[list[Windows], np.ndarray]:
             left = rank[a - 1 : b - 1] if a else np.concatenate([rank[:1], rank[: b - 1]])
             return left.astype(np.int64) * many + one[a:b]
 
-        found, now = _ranks(codes, len(text), len(before) * many)
+        found, now = _ranks(codes, size, len(before) * many)
         context, at = found // many, found % many
         top = out[-1]
         suffix = at if len(out) == 1 else np.searchsorted(before, top.suffix[context] * many + at)
@@ -284,8 +287,8 @@ def _split(keys: np.ndarray, log: int) -> tuple[np.ndarray, np.ndarray]:
     return order, np.concatenate([[0], np.searchsorted(keys[order], edges), [len(keys)]])
 
 
-def _asked(text: np.ndarray, order: int) -> tuple[list[Windows], np.ndarray, np.ndarray]:
-    levels, rank = windows(text, order)
+def _asked(body: bytes, order: int) -> tuple[list[Windows], np.ndarray, np.ndarray]:
+    levels, rank = windows(code_points(body), order)
     return levels, rank, np.concatenate([w.keys(k) for k, w in enumerate(levels, start=1)])
 
 
@@ -318,7 +321,7 @@ def answers(blobs: DataFrame, model: DataFrame, order: int, log: int, salts: int
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in released(batches):
             for blob, body in zip(batch.column("blob").to_pylist(), batch.column("body"), strict=True):
-                keys = _asked(code_points(body.as_py()), order)[2]
+                keys = _asked(body.as_py(), order)[2]
                 o, edge = _split(keys, log)
                 keys = keys[o]
                 some = np.flatnonzero(np.diff(edge))
@@ -370,7 +373,7 @@ def scores(blobs: Blobs, model: DataFrame, rest: float, flat: float, order: int)
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in released(batches):
             for body, chars, keys, langs, got in zip(*(batch.column(c) for c in ("body", "chars", "keys", "langs", "got")), strict=True):
-                levels, rank, asked = _asked(code_points(body.as_py()), order)
+                levels, rank, asked = _asked(body.as_py(), order)
                 o, edge = _split(asked, log)
                 p, left = np.full(len(asked), np.nan), np.full(len(asked), np.nan)
                 for x in got:
