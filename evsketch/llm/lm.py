@@ -14,12 +14,15 @@ reaches the driver but the counts of counts. One query goes through these steps:
 3. each blob asks once for every different window it holds, in every order. Questions and the
    model's entries are dealt by shards of the n-grams' hashes (and salts, which the entries are
    repeated for), and answers travel back to the blobs, where the unseen n-grams back off;
-4. perplexities of held-out trusted documents give each language's threshold: their quantile times
-   ``Model.margin``.
-
-Defined cases: null or empty texts have no perplexity and are not kept; a language (null counts as
-one) with fewer than ``least`` held-out trusted documents takes the threshold of all of them, and
-without any held-out document at all that of the trusted ones; a null key is in no label; repeated rows get equal scores;
+4. a document has two measures: its perplexity, and its peak, the perplexity of the ``order``
+   neighbouring symbols that surprise the model most (a few foreign words, such as abuse, vanish in the mean
+   of a long text). The quantiles of both over the held-out trusted documents of a language, times
+   ``Model.margin``, are its thresholds. A kept document is over neither.
+
+Defined cases: null or empty texts have no perplexity or peak and are not kept; a language (null counts as
+one) with fewer than ``least`` held-out trusted documents takes the thresholds of all of them, and
+without any held-out document at all that of the trusted ones; with fewer than ``least`` in all there
+is no threshold of peaks (null) and they decide nothing; a null key is in no label; repeated rows get equal scores;
 with no trusted text at all every row is kept; an empty table gives no rows; other columns are not
 read.
 """
@@ -363,7 +366,8 @@ def answers(blobs: DataFrame, model: DataFrame, order: int, log: int, salts: int
 
 
 def scores(blobs: Blobs, model: DataFrame, rest: float, flat: float, order: int) -> DataFrame:
-    """(key, lang, n, total): symbols and sum of log probabilities of every document."""
+    """(key, lang, n, total, least): symbols, sum of log probabilities of every document, and the
+    least sum of ``order`` neighbouring ones."""
     bytes_ = blobs.table().agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
     log = (max(LEAST_SHARDS, -(-model.count() // SHARD)) - 1).bit_length()
     salts = max(1, -(-bytes_ // SALT) >> log)
@@ -387,6 +391,7 @@ def scores(blobs: Blobs, model: DataFrame, rest: float, flat: float, order: int)
                     below, weight = np.where(np.isnan(p_), spare, p_), left[start:end]
                     start = end
                 logs = np.log(below).astype(np.float32)
+                del levels, w, asked, o, edge, p, p_, left, below, weight, spare
                 size = np.asarray(chars.as_py(), np.int64)
                 begin = np.cumsum(size + pads) - (size + pads)
                 value = logs[rank]
@@ -396,13 +401,19 @@ def scores(blobs: Blobs, model: DataFrame, rest: float, flat: float, order: int)
                 if not pads:
                     value = np.append(value, np.float32(0))
                 sums = np.where(size > 0, np.add.reduceat(value, begin, dtype=np.float64), 0.0)
-                yield pa.RecordBatch.from_arrays([keys.values, langs.values, pa.array(size), pa.array(sums)], ["key", "lang", "n", "total"])
+                near = value.copy()  # of a document's symbols and its pads, which are 0, no others
+                for i in range(1, order):
+                    near[i:] += value[:-i]
+                for i in range(pads):
+                    near[begin + i] = 0
+                least = np.where(size > 0, np.minimum.reduceat(near, begin).astype(np.float64), 0.0)
+                yield pa.RecordBatch.from_arrays([keys.values, langs.values, pa.array(size), pa.array(sums), pa.array(least)], ["key", "lang", "n", "total", "least"])
 
-    return blobs.meet(back).select("body", "chars", "keys", "langs", "got").mapInArrow(run, f"key {blobs.kind}, lang string, n long, total double")
+    return blobs.meet(back).select("body", "chars", "keys", "langs", "got").mapInArrow(run, f"key {blobs.kind}, lang string, n long, total double, least double")
 
 
 def judge(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", lang: str = "lang", how: Model = Model()) -> DataFrame:
-    """Per row: key, lang, perplexity, threshold, kept."""
+    """Per row: key, lang, perplexity, threshold, peak, peak_threshold, kept."""
     good = staged(labels.where("quality = 1 and coalesce(toxic, 0) = 0 and doc_id is not null").select(F.col("doc_id").alias("good"), (F.pmod(F.xxhash64(F.lit(how.hold), "doc_id"), F.lit(how.hold)) == 0).alias("held")).distinct())
     blobs = Blobs(docs, key, text, lang, how.order)
     try:
@@ -412,16 +423,23 @@ def judge(docs: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "
         counts = staged(count_grams(marked, how.order))
         if counts.isEmpty():
             rows = blobs.table().select(F.explode(F.arrays_zip("keys", "langs")).alias("x"))
-            return staged(rows.select(F.col("x.keys").alias(key), F.col("x.langs").alias("lang"), F.lit(None).cast("double").alias("perplexity"), F.lit(None).cast("double").alias("threshold"), F.lit(True).alias("kept")))
+            return staged(rows.select(F.col("x.keys").alias(key), F.col("x.langs").alias("lang"), *[F.lit(None).cast("double").alias(c) for c in ("perplexity", "threshold", "peak", "peak_threshold")], F.lit(True).alias("kept")))
         model, rest, flat = train(counts, how.order)
-        scored = staged(scores(blobs, model, rest, flat, how.order).select("key", "lang", F.when(F.col("n") > 0, F.exp(-F.col("total") / F.col("n"))).alias("perplexity")))
+        some = F.col("n") > 0
+        peak = F.exp(-F.col("least") / F.least(F.col("n"), F.lit(how.order)))
+        scored = staged(scores(blobs, model, rest, flat, how.order).select("key", "lang", F.when(some, F.exp(-F.col("total") / F.col("n"))).alias("perplexity"), F.when(some, peak).alias("peak")))
     finally:
         blobs.drop()
-    trusted = staged(scored.join(small(good), scored["key"] == good["good"]).select("lang", "perplexity", "held").where("perplexity is not null"))
-    quantile = F.percentile_approx("perplexity", how.quantile, 10_000)
-    limits = staged(trusted.where("held").groupBy("lang").agg(F.count("*").alias("many"), quantile.alias("own")).where(F.col("many") >= how.least).drop("many"))
-    pooled = trusted.agg(F.percentile_approx(F.when(F.col("held"), F.col("perplexity")), how.quantile, 10_000), quantile).first()
-    every = pooled[0] if pooled[0] is not None else pooled[1]
+    trusted = staged(scored.join(small(good), scored["key"] == good["good"]).select("lang", "perplexity", "peak", "held").where("perplexity is not null"))
+    held, measures = F.col("held"), ("perplexity", "peak")
+
+    def quantile(name: str, where=F.lit(True)):
+        return F.percentile_approx(F.when(where, F.col(name)), how.quantile, 10_000)
+
+    limits = staged(trusted.where(held).groupBy("lang").agg(F.count("*").alias("many"), *[quantile(m).alias(f"own_{m}") for m in measures]).where(F.col("many") >= how.least).drop("many"))
+    enough = F.count_if(held) >= how.least  # an extreme of a handful of documents says nothing
+    pooled = trusted.agg(F.coalesce(quantile("perplexity", held), quantile("perplexity")).alias("perplexity"), F.when(enough, quantile("peak", held)).alias("peak")).first()
     judged = scored.join(small(limits.withColumnRenamed("lang", "of")), F.col("lang").eqNullSafe(F.col("of")), "left")
-    judged = judged.withColumn("threshold", F.lit(how.margin) * F.coalesce("own", F.lit(every)))
-    return judged.select(F.col("key").alias(key), "lang", "perplexity", "threshold", F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(False)).alias("kept"))
+    judged = judged.withColumns({c: F.lit(how.margin) * F.coalesce(f"own_{m}", F.lit(pooled[m]).cast("double")) for c, m in zip(("threshold", "peak_threshold"), measures, strict=True)})
+    kept = (F.col("perplexity") <= F.col("threshold")) & (F.col("peak_threshold").isNull() | (F.col("peak") <= F.col("peak_threshold")))
+    return judged.select(F.col("key").alias(key), "lang", "perplexity", "threshold", "peak", "peak_threshold", F.coalesce(kept, F.lit(False)).alias("kept"))

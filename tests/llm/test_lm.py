@@ -45,11 +45,19 @@ class Plain:
         share = (x - self.d[k][min(x, 3) - 1]) / self.total[k][ctx] if x else 0
         return share + self.lost[k][ctx] / self.total[k][ctx] * lower
 
-    def perplexity(self, text):
+    def logs(self, text):
         t = lm.PAD * (self.order - 1) + text.lower()
-        logs = [math.log(self.p(t[i : i + self.order])) for i in range(len(t) - self.order + 1)]
+        return [math.log(self.p(t[i : i + self.order])) for i in range(len(t) - self.order + 1)]
+
+    def perplexity(self, text):
+        logs = self.logs(text)
         return math.exp(-sum(logs) / len(logs)) if logs else None
 
+    def peak(self, text):
+        logs = self.logs(text)
+        size = min(self.order, len(logs))
+        return math.exp(-min(sum(logs[max(0, i - self.order + 1) : i + 1]) for i in range(len(logs))) / size) if logs else None
+
 
 WORDS = ["the", "cat", "sat", "on", "a", "mat", "and", "then", "ran", "home", "\u00fcber", "\u7532\u9aa8"]
 
@@ -81,15 +89,15 @@ def test_scores_equal_a_plain_model(spark, monkeypatch, order, shape):
     assert len(got) == len(rows)
     want = defaultdict(list)
     for i, t, _ in rows:
-        want[i].append(model.perplexity(t or ""))
+        want[i].append((model.perplexity(t or ""), model.peak(t or "")))
     for r in got:
-        w = want[r.doc_id][0]
-        assert (r.perplexity is None) == (w is None) and (w is None or math.isclose(r.perplexity, w, rel_tol=1e-5))
+        for seen, w in zip((r.perplexity, r.peak), want[r.doc_id][0], strict=True):
+            assert (seen is None) == (w is None) and (w is None or math.isclose(seen, w, rel_tol=1e-5))
     for lang in ("en", "de"):
-        limit = sorted(want[i][0] for i, _, x in rows if x == lang and i in held and i in good)
-        seen = {r.threshold for r in got if r.lang == lang}
-        assert len(seen) == 1 and math.isclose(seen.pop(), how.margin * limit[-1], rel_tol=1e-5)
-    assert all(r.kept == (r.perplexity is not None and r.perplexity <= r.threshold) for r in got)
+        limit = [sorted(want[i][0][m] for i, _, x in rows if x == lang and i in held and i in good)[-1] for m in (0, 1)]
+        for seen, w in (({r.threshold for r in got if r.lang == lang}, limit[0]), ({r.peak_threshold for r in got if r.lang == lang}, limit[1])):
+            assert len(seen) == 1 and math.isclose(seen.pop(), how.margin * w, rel_tol=1e-5)
+    assert all(r.kept == (r.perplexity is not None and r.perplexity <= r.threshold and r.peak <= r.peak_threshold) for r in got)
 
 
 def test_probabilities_sum_to_one(spark):
@@ -143,3 +151,15 @@ def test_foreign_text_goes_and_clean_text_stays(spark):
     none = lm.judge(docs, labels.limit(0)).collect()
     assert len(none) == len(rows) and all(r.kept and r.perplexity is None for r in none)
     assert not spark.catalog.listTables() or all(not t.name.startswith("blobs_") for t in spark.catalog.listTables())
+
+
+def test_a_few_foreign_words_in_a_long_text_are_its_peak(spark):
+    rng = random.Random(7)
+    prose = lambda: " ".join(rng.choice(WORDS) for _ in range(400))
+    rows = [(i, prose(), "en") for i in range(160)] + [(500 + i, f"{prose()} {w} {prose()}", "en") for i, w in enumerate(["wqzj", "jkvx", "pfgw"])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(i, 1, 0) for i in range(160)], "doc_id long, quality int, toxic int")
+    got = {r.doc_id: r for r in lm.judge(docs, labels, how=lm.Model(least=5)).collect()}
+    planted = [got[500 + i] for i in range(3)]
+    assert all(r.perplexity <= r.threshold and r.peak > r.peak_threshold and not r.kept for r in planted)
+    assert sum(got[i].kept for i in range(160)) >= 155
