@@ -71,4 +71,66 @@ select id as doc_id, n as n_shingles, component_id, id = component_id as kept
 from (select a as id, min(b) as component_id from reach group by a) r join sizes on id = doc_id
 """
 
-ORACLES: dict[str, str] = {"op4_quality_rules": _RULES, "op5_embedding_dedup": _VECTORS, "op9_near_dedup": _NEAR}
+_REPEATS = """
+with d as (select doc_id, hex(encode(coalesce(text, ''))) as h from documents),
+parts as (select doc_id, s, substr(h, 2 * s + 1, 2 * (512 + 49)) as part from (select doc_id, h, unnest(range(0, len(h) // 2, 512)) as s from d)),
+wins as (
+  select doc_id, s + i as p, substr(part, 2 * i + 1, 100) as win
+  from (select doc_id, s, part, unnest(range(0, greatest(0, least(512, len(part) // 2 - 49)))) as i from parts)
+),
+shared as (select win, min(doc_id) as first from wins group by win having min(doc_id) < max(doc_id)),
+hits as (select doc_id, p from wins join shared using (win) where first < doc_id),
+marked as (select doc_id, p, case when p - lag(p) over w <= 50 then 0 else 1 end as opens from hits window w as (partition by doc_id order by p)),
+numbered as (select doc_id, p, sum(opens) over (partition by doc_id order by p) as run from marked),
+runs as (select doc_id, min(p) as a, max(p) + 50 as b from numbered group by doc_id, run),
+gaps as (select doc_id, a, b, coalesce(lag(b) over (partition by doc_id order by a), 0) as since from runs),
+cut as (
+  select g.doc_id, sum(b - a) as n_removed, count(*) as n_spans,
+         string_agg(substr(h, 2 * since + 1, 2 * (a - since)), '' order by a) || substr(any_value(h), 2 * max(b) + 1) as kept
+  from gaps g join d on g.doc_id = d.doc_id group by g.doc_id
+)
+select d.doc_id, cast(len(h) // 2 as bigint) as n_bytes, cast(coalesce(n_removed, 0) as bigint) as n_removed,
+       cast(coalesce(n_spans, 0) as bigint) as n_spans, sha256(unhex(coalesce(kept, h))) as kept_sha256
+from d left join cut on d.doc_id = cut.doc_id
+"""
+
+_UP, _LOW = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+_PARTS = "(?s)^.*?://([^/?#]*)([^?#]*)"
+
+#: Holds while no more rows are labelled than the method mines (100,000).
+_URLS = rf"""
+with stated(rule, verdict, on_host, on_path) as (
+  values ('org/', 'allow', 'org', '/'), ('example.org/es/', 'block', 'example.org', '/es/'), ('example.org/en/1', 'block', 'example.org', '/en/1'),
+         ('com/fr/', 'allow', 'com', '/fr/'), ('com/de/', 'block', 'com', '/de/')
+),
+read as (
+  select page_id, translate(coalesce(regexp_extract(url, '{_PARTS}', 1), ''), '{_UP}', '{_LOW}') as host, coalesce(regexp_extract(url, '{_PARTS}', 2), '') as path,
+         coalesce(regexp_extract(url, '(?s)\?([^#]*)', 1), '') as query, row_number() over () as row
+  from pages
+),
+fitting as (
+  select row, arg_max(struct_pack(r := rule, v := verdict), length(rule)) as best
+  from read join stated on (host = on_host or ends_with(host, '.' || on_host)) and starts_with(path, on_path) group by row
+),
+tokens as (
+  select row, unnest(list_distinct(list_concat(
+    list_transform(string_split(host, '.'), lambda x: 'h:' || x), list_transform(string_split(path, '/'), lambda x: 'p:' || x),
+    list_transform(string_split(query, '&'), lambda x: 'q:' || split_part(x, '=', 1))))) as token
+  from read
+),
+least as (select greatest(1, ceil(cast(0.005 as double) * count(*))) as n from fitting),
+frequent as (select token from tokens join fitting using (row) where length(token) > 2 group by token having count(*) >= (select n from least)),
+baskets as (select row, list_sort(list(token)) as items from tokens join frequent using (token) group by row),
+masks as (select row, items, unnest(range(1, 1 << len(items))) as mask from baskets),
+subsets as (select row, list_filter(items, lambda x, i: (mask >> (i - 1)) & 1 = 1) as items from masks),
+counted as (select items, best.v as verdict, count(*) as n from subsets join fitting using (row) group by all),
+rules as (
+  select items, verdict, n, n / sum(n) over (partition by items) as confidence from counted
+  qualify n >= (select n from least) and confidence >= cast(0.9 as double)
+),
+mined as (select row, max(struct_pack(c := confidence, s := n, v := verdict)) as top from subsets join rules using (items) group by row)
+select page_id, host, path, best.r as rule, coalesce(best.v, top.v, 'allow') as verdict
+from read left join fitting using (row) left join mined using (row)
+"""
+
+ORACLES: dict[str, str] = {"op4_quality_rules": _RULES, "op5_embedding_dedup": _VECTORS, "op7_url_filter": _URLS, "op9_near_dedup": _NEAR, "op10_suffix_dedup": _REPEATS}
