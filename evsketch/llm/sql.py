@@ -133,4 +133,69 @@ select page_id, host, path, best.r as rule, coalesce(best.v, top.v, 'allow') as
 from read left join fitting using (row) left join mined using (row)
 """
 
-ORACLES: dict[str, str] = {"op4_quality_rules": _RULES, "op5_embedding_dedup": _VECTORS, "op7_url_filter": _URLS, "op9_near_dedup": _NEAR, "op10_suffix_dedup": _REPEATS}
+_PERSONAL_KINDS = (
+    ("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+", "true"),
+    ("ip", r"[0-9]+(?:\.[0-9]+)(?:\.[0-9]+)(?:\.[0-9]+)", "len(list_filter(string_split(m, '.'), lambda x: length(ltrim(x, '0')) > 3 or cast('0' || right(x, 3) as integer) > 255)) = 0"),
+    ("card", r"[0-9](?:[\x20-]?[0-9])+", "length(digits) between 16 and 19 and list_sum(list_transform(string_split(reverse(digits), ''), lambda x, i: case when i % 2 = 1 then cast(x as integer) when x > '4' then 2 * cast(x as integer) - 9 else 2 * cast(x as integer) end)) % 10 = 0"),
+    ("phone", r"\+[0-9][\x20().0-9-]+[0-9]", "length(digits) between 8 and 15"),
+    ("secret", r"""(?i)(?:token|secret|passw(?:or)?d|(?:api|access|private)[_-]?key)\b["'']?[ \t]{0,4}[:=][ \t]{0,4}["'']?(?:[^\s"'',;]{8,})""", "regexp_matches(value, '[0-9]')"),
+)
+_VALUE = r"""[^\s"'',;]{8,}$"""
+_LETTERS = r"[\pL\p{Nl}\p{No}]{4,}"
+
+
+def _placed(pattern: str, source: str) -> str:
+    """(row, m, a, b): the matches of a pattern in each text and their places."""
+    return rf"""
+  select row, m, a, a + length(m) as b from (
+    select row, m, sum(length(gap)) over before_it + sum(length(m)) over before_it - length(m) as a
+    from (select row, unnest(regexp_extract_all(t, '{pattern}')) as m, unnest(list_slice(string_split_regex(t, '{pattern}'), 1, length(regexp_extract_all(t, '{pattern}')))) as gap,
+                 unnest(range(length(regexp_extract_all(t, '{pattern}')))) as i from {source})
+    window before_it as (partition by row order by i))"""
+
+
+_FOUND = " union all ".join(
+    f"select row, '{kind}' as kind, {i} as nth, cast(a as bigint) as a, cast(b as bigint) as b, value, digits from (select row, case when '{kind}' = 'secret' then b - length(value) else a end as a, b, m, value, digits "
+    f"from (select *, case when '{kind}' = 'secret' then regexp_extract(m, '{_VALUE}') else m end as value, regexp_replace(m, '[^0-9]', '', 'g') as digits from ({_placed(pattern, 'd')}))) where {holds}"
+    for i, (kind, pattern, holds) in enumerate(_PERSONAL_KINDS)
+)
+
+_PERSONAL = rf"""
+with d as (select doc_id, row_number() over () as row, coalesce(text, '') as t from documents),
+found as ({_FOUND}),
+named as (select row, a, b, kind, case when kind in ('card', 'phone') then digits else lower(value) end as v from found),
+faces as (
+  select row, a, b, kind || ':' || v as face from named
+  union select row, a, b, 'domain:' || split_part(v, '@', 2) from named where kind = 'email'
+  union select row, a, b, 'name:' || unnest(regexp_extract_all(split_part(v, '@', 1), '{_LETTERS}')) from named where kind = 'email'
+  union select row, a, b, 'net:' || regexp_extract(v, '^[0-9]+\.[0-9]+') from named where kind = 'ip'
+  union select row, a, b, kind || 's:' || left(v, 6) from named where kind in ('card', 'phone')
+),
+touched as (select row, t from d where row in (select row from found)),
+terms as (select row, lower(m) as term, cast(a as bigint) as s, cast(b as bigint) as f from ({_placed(_LETTERS, 'touched')})),
+outside as (select * from terms x where not exists (select 1 from found y where x.row = y.row and y.a < x.f and y.b > x.s)),
+near as (select distinct x.row, face, term, s, f from faces x join outside y on x.row = y.row and y.s >= x.a - 80 and y.f <= x.b + 80),
+pairs as (select face, term, count(distinct row) as both_ from near group by all),
+of_face as (select face, count(distinct row) as of_e from faces group by face),
+of_term as (select term, count(distinct row) as of_t from (select row, unnest(regexp_extract_all(lower(t), '{_LETTERS}')) as term from d) group by term),
+size as (select cast(greatest(2, count(*)) as double) as n from d),
+told as (
+  select face, term, ln((both_ + cast(1 as double) * of_t / n) / (of_e + cast(1 as double)) * n / of_t) as tells, ln(n / of_e) as content
+  from pairs join of_face using (face) join of_term using (term), size
+),
+bad as (select face, term from told where tells >= cast(0.9 as double) * content and tells >= ln(cast(20 as double))),
+spots as (select distinct row, s, f from near join bad using (face, term)),
+listed as (
+  select row, string_agg(kind || ':' || a || ':' || b, ',' order by nth, a) filter (where kind <> 'secret') as base,
+         string_agg(kind || ':' || a || ':' || b, ',' order by a) filter (where kind = 'secret') as more, count(*) as n,
+         count(*) filter (where kind = 'email') as n_email, count(*) filter (where kind = 'ip') as n_ip,
+         count(*) filter (where kind = 'card') as n_card, count(*) filter (where kind = 'phone') as n_phone
+  from found group by row
+),
+added as (select row, string_agg('term:' || s || ':' || f, ',' order by s, f) as terms, count(*) as n_terms from spots group by row)
+select doc_id, coalesce(n_email, 0) as n_email, coalesce(n_ip, 0) as n_ip, coalesce(n_card, 0) as n_card, coalesce(n_phone, 0) as n_phone,
+       sha256(coalesce(base, '')) as base_sha256, concat_ws(',', base, more, terms) as spans, coalesce(n, 0) + coalesce(n_terms, 0) as n_spans
+from d left join listed using (row) left join added using (row)
+"""
+
+ORACLES: dict[str, str] = {"op1_pii": _PERSONAL, "op4_quality_rules": _RULES, "op5_embedding_dedup": _VECTORS, "op7_url_filter": _URLS, "op9_near_dedup": _NEAR, "op10_suffix_dedup": _REPEATS}

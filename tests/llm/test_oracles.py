@@ -20,7 +20,7 @@ def compare(spark, name, sf_dir, table):
     return got
 
 
-@pytest.mark.parametrize(("name", "table"), [("op4_quality_rules", "documents"), ("op5_embedding_dedup", "embeddings"), ("op7_url_filter", "pages"), ("op9_near_dedup", "documents"), ("op10_suffix_dedup", "documents")])
+@pytest.mark.parametrize(("name", "table"), [("op1_pii", "documents"), ("op4_quality_rules", "documents"), ("op5_embedding_dedup", "embeddings"), ("op7_url_filter", "pages"), ("op9_near_dedup", "documents"), ("op10_suffix_dedup", "documents")])
 def test_query_equals_sql(spark, name, table):
     assert compare(spark, name, SF, table)
 
@@ -41,3 +41,12 @@ def test_urls_with_mined_verdicts_and_odd_forms(spark, tmp_path):
     rows = compare(spark, "op7_url_filter", str(tmp_path), "pages")
     assert {r[-1] for r in rows} == {"allow", "block"} and len(rows) == len(urls)
     assert any(r[3] is None and r[-1] == "block" for r in rows)
+
+
+def test_personal_data_of_odd_forms(spark, tmp_path):
+    texts = ["write to jane.miller@mail.example.org, Ms Miller of Quarnford", "Miller again, but no address", "a@b a@b.c@d.e x@y..z @q.r me@me.me.", "1.2.3.4.5.6.7.8 256.1.1.1 010.000255.0.1 1.1.1", "4111 1111 1111 1111, 4111-1111-1111-1112 and 41111111111111111111"]
+    texts += ["+49 (30) 1234567 +1 2 +123456789012345678 ++4712345678", 'api_key = "abcd1234efgh" password: kurzundohne token:\tXyz98765;', "", None, "Größe über 1.2.3.4 straße", "é" * 90 + " 9.9.9.9 " + "wort" * 30]
+    texts += [f"plain words number {i} about nothing in particular, twice nothing" for i in range(1500)]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").toPandas().to_parquet(tmp_path / "documents.parquet")
+    rows = compare(spark, "op1_pii", str(tmp_path), "documents")
+    assert len(rows) == len(texts) and any("term:" in r[-1] for r in rows) and any("secret:" in r[-1] for r in rows)
