@@ -6,12 +6,12 @@ import duckdb
 import pytest
 
 from evsketch import registry
-from evsketch.workloads.common import K, K_BY_SIZE, spec_at
+from evsketch.workloads.common import K, K_BY_SIZE, spec_at, xx
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: A few of each kind; the whole registry runs against DuckDB at sf0.01 outside the tests.
-NAMES = ["m1_full_geo", "m2_geo_by_group", "m3_shift_geo", "m8_shift_round_props", "b1_exact", "b4_hll", "a_tail_lemma", "w2_gumbel_max_law", "w18_roles", "op_cube", "op_asof_sketch", "op_range_join", "st_equals_batch", "io_csv_items", "udf_sql_functions", "udtf_explode"]
+NAMES = ["fast_geo", "m1_full_geo", "m2_geo_by_group", "m3_shift_geo", "m8_shift_round_props", "b1_exact", "b4_hll", "a_tail_lemma", "w2_gumbel_max_law", "w18_roles", "op_cube", "op_asof_sketch", "op_range_join", "st_equals_batch", "io_csv_items", "udf_sql_functions", "udtf_explode"]
 
 
 def norm(v):
@@ -48,3 +48,12 @@ def test_entry_and_registry(spark):
 
 def test_registers_do_not_depend_on_the_name_of_the_input():
     assert {spec_at(f"/data/{name}").k for name in ("sf0.001", "sf0.01", "sf0.1", "sf0.1/", "other")} == {K}
+
+
+def test_the_oracle_of_the_fast_family_hashes_as_spark_does(spark):
+    texts = ["", "a", "abc", "abcd", "abcdefg", "12345678", "123456789012", "9223372036854775807", "x" * 31]
+    rows = ", ".join(f"('{t}')" for t in texts)
+    bytes_ = "list_filter(list_transform(string_split(s, ''), lambda y: ascii(y)), lambda y: y > 0)"
+    found = duckdb.sql(f"with given as (select s, {bytes_} as b, 42::uhugeint as h from (values {rows}) t(s)), {xx('given', 'done')} select s, h from done").fetchall()
+    want = spark.createDataFrame([(t,) for t in texts], "s string").selectExpr("s", "xxhash64(s) as h").collect()
+    assert dict(found) == {r.s: r.h % (1 << 64) for r in want}
