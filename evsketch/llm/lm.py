@@ -107,7 +107,7 @@ class Windows:
     raw: np.ndarray
 
     def keys(self, size: int) -> np.ndarray:
-        return mix64(self.raw + np.uint64(size) * np.uint64(0xD6E8FEB86659FD93))
+        return mix64(self.raw + np.uint64(size * 0xD6E8FEB86659FD93 & (1 << 64) - 1))
 
 
 def symbol_hash(symbols: np.ndarray) -> np.ndarray:
