@@ -11,6 +11,7 @@ from evsketch.plans.checks import plan_facts
 SF = "/root/testdata/sf0.001"
 NAMES = [
     "a_inverse_product",
+    "a_smoothness",
 ]
 
 
