@@ -6,12 +6,14 @@ import duckdb
 import pytest
 
 from evsketch import registry
+from evsketch.operators.accuracy import space_columns, space_table
 from evsketch.plans.checks import plan_facts
 
 SF = "/root/testdata/sf0.001"
 NAMES = [
     "a_inverse_product",
     "a_smoothness",
+    "c_space_table",
 ]
 
 
@@ -47,3 +49,10 @@ def test_query_reads_its_table_and_equals_sql_on_odd_rows(spark, odd, name):
     want = sorted((tuple(norm(r[names.index(c)]) for c in sorted(names)) for r in cur.fetchall()), key=str)
     assert sorted(names) == sorted(df.columns) and answers(df) == want
     assert want != answers(registry.queries()[name](spark, SF))
+
+
+def test_space_columns_equal_the_table_of_numbers(spark):
+    for n in (3, 65536, 150_000, 10**9):
+        df = spark.createDataFrame([(n, 1 << 32)], "n long, u long")
+        got = df.select(*[b.alias(m) for m, b in space_columns(0.05, 0.01, df.n, df.u)]).first().asDict()
+        assert got == pytest.approx(dict(space_table(0.05, 0.01, n, 2.0**32)))
