@@ -14,6 +14,7 @@ NAMES = [
     "a_inverse_product",
     "a_smoothness",
     "c_space_table",
+    "m11_k_for_eps",
 ]
 
 
