@@ -15,6 +15,7 @@ NAMES = [
     "a_smoothness",
     "c_space_table",
     "m11_k_for_eps",
+    "m3_offsets",
 ]
 
 
