@@ -16,6 +16,7 @@ NAMES = [
     "c_space_table",
     "m11_k_for_eps",
     "m3_offsets",
+    "m6_gumbel_moments",
 ]
 
 
