@@ -17,6 +17,7 @@ NAMES = [
     "m11_k_for_eps",
     "m3_offsets",
     "m6_gumbel_moments",
+    "m6_gumbel_table",
 ]
 
 
