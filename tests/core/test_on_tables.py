@@ -18,6 +18,7 @@ NAMES = [
     "m3_offsets",
     "m6_gumbel_moments",
     "m6_gumbel_table",
+    "m6_quantile_roundtrip",
 ]
 
 
