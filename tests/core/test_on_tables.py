@@ -19,6 +19,7 @@ NAMES = [
     "m6_gumbel_moments",
     "m6_gumbel_table",
     "m6_quantile_roundtrip",
+    "m7_max_stability",
 ]
 
 
