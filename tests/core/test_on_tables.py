@@ -20,6 +20,7 @@ NAMES = [
     "m6_gumbel_table",
     "m6_quantile_roundtrip",
     "m7_max_stability",
+    "m8_shift_round_props",
 ]
 
 
