@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from evsketch.functions import udfs
+from evsketch.functions import hashing, udfs
 from evsketch.operators import discretize
 from evsketch.operators import registers as rg
 from evsketch.sources.tables import load
@@ -16,13 +17,18 @@ from evsketch.workloads.scenarios import USERS, dense
 SPEC = SketchSpec(k=64)
 
 
-@query("select i as reg, round(exp(-exp(-(i / 8.0::double - 1))), 9) as cdf, round(exp(-exp(-(i / 8.0::double - 1)) - (i / 8.0::double - 1)), 9) as pdf, round(1 - ln(-ln((i + 0.5::double) / 64)), 9) as quantile, round(floor(i / 8.0::double + 0.25::double) - 0.25::double, 9) as rounded, round(64 * exp(i / 64.0::double - 0.5772156649015329::double), 9) as z from range(64) t(i)")
+@query(
+    f"select cast(reg as bigint) as reg, round(exp(-exp(-(x - mean))), 9) as cdf, round(exp(-exp(-(x - mean)) - (x - mean)), 9) as pdf, round(mean - ln(-ln(exp(-exp(-(x - mean))))), 6) as quantile, round(floor(x + c) - c, 9) as rounded, round(64 * exp(mean - 0.5772156649015329::double), 3) as z "
+    f"from (select reg, x, {c('reg')} as c, avg(x) over () as mean from (select reg, {x('w')} as x from {seeded(regs('orders', 'o_orderkey', k=64), k=64)}))"
+)
 def udf_sql_functions(spark, sf_dir):
-    """Every SQL function over the rows of the table function."""
+    """Every SQL function at the order keys' registers, over the rows of the table function."""
     udfs.register_sql(spark)
+    held = discretize.real_registers(dense(load(spark, sf_dir, "orders"), "o_orderkey", SPEC, []), SPEC)
+    held.select("reg", "x", hashing.offset(SPEC, F.col("reg")).alias("c"), F.avg("x").over(Window.partitionBy()).alias("mean")).createOrReplaceTempView("key_registers")
     return spark.sql(
-        "select cast(reg as bigint) as reg, round(gumbel_cdf(reg / 8D, 1D), 9) as cdf, round(gumbel_pdf(reg / 8D, 1D), 9) as pdf, round(gumbel_quantile((reg + 0.5D) / 64, 1D), 9) as quantile, "
-        "round(shift_round(reg / 8D, 0.25D), 9) as rounded, round(estimate_from_mean(64, reg / 64D), 9) as z from sketch_spine(64)"
+        "select cast(s.reg as bigint) as reg, round(gumbel_cdf(x, mean), 9) as cdf, round(gumbel_pdf(x, mean), 9) as pdf, round(gumbel_quantile(gumbel_cdf(x, mean), mean), 6) as quantile, "
+        "round(shift_round(x, c), 9) as rounded, round(estimate_from_mean(64, mean), 3) as z from sketch_spine(64) s left join key_registers h on s.reg = h.reg"
     )
 
 

@@ -21,6 +21,7 @@ NAMES = [
     "m6_quantile_roundtrip",
     "m7_max_stability",
     "m8_shift_round_props",
+    "udf_sql_functions",
 ]
 
 
