@@ -22,6 +22,7 @@ NAMES = [
     "m7_max_stability",
     "m8_shift_round_props",
     "udf_sql_functions",
+    "w1_geom_max_law",
 ]
 
 
