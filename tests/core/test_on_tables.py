@@ -65,3 +65,8 @@ def test_space_columns_equal_the_table_of_numbers(spark):
         df = spark.createDataFrame([(n, 1 << 32)], "n long, u long")
         got = df.select(*[b.alias(m) for m, b in space_columns(0.05, 0.01, df.n, df.u)]).first().asDict()
         assert got == pytest.approx(dict(space_table(0.05, 0.01, n, 2.0**32)))
+
+
+def test_the_universe_of_a_key_counts_zero(spark):
+    df = registry.queries()["c_space_table"](spark, SF)
+    assert all(r.universe >= r.n for r in df.collect())  # keys are 0, 1, 2, ...: a bitmap needs a bit for each
