@@ -5,8 +5,10 @@ outside that set can never be merged across, so a text may be cut between its tw
 kept only where the pre-tokeniser cuts too whatever stands around them (an ASCII byte that is no
 white space, then an ASCII white space byte), so each fragment's ids do not depend on its
 neighbours. Fragments repeat, so each worker keeps a bounded cache of their ids; the ids of a text
-are those of its fragments in order. The special token is taken out before anything else, as the
-public library does.
+are those of its fragments in order. Where only ids are wanted, a slice of many texts is cut at
+once, its different fragments are told apart by Arrow and each is encoded once: together with those
+beside it where a cut is forced between them, as the ids' bytes then tell whose they are. The special
+token is taken out before anything else, as the public library does.
 
 Defined cases: a null or empty text has no ids and decodes to the empty text; very long texts and
 texts without any cut are single fragments; repeated rows repeat their results; other columns are
@@ -17,17 +19,19 @@ from __future__ import annotations
 
 import hashlib
 import json
-from array import array
+from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from evsketch.llm.common import arrow_map, empty_safe
+from evsketch.llm.common import arrow_map, empty_safe, raw, slices
 
 #: Fragments a worker remembers, and the longest fragment that is worth remembering.
 CACHE_ENTRIES, CACHE_BYTES = 200_000, 40
+#: Bytes of text whose different fragments are told apart at once, and of fragments that the encoder gets at once.
+ENCODE_BYTES, JOINED_BYTES = 4 << 20, 1 << 18
 
 _SPACES = (9, 10, 11, 12, 13, 32)
 
@@ -63,6 +67,8 @@ class Vocabulary:
         for b in _SPACES:
             self.cuts[left, b] = ~inside[left, b]
         self._ids: dict[bytes, object] = {}
+        self.sizes = np.zeros(max(self.bytes_of) + 1, np.int64)
+        self.sizes[list(self.bytes_of)] = [len(b) for b in self.bytes_of.values()]
 
     def fragments(self, body: bytes) -> list[bytes]:
         """``body`` cut at every forced boundary."""
@@ -77,6 +83,16 @@ class Vocabulary:
     def encode_fragment(self, fragment: bytes) -> list[int]:
         return self._encoder.encode_ordinary(fragment.decode("utf-8"))
 
+    def ids_of_each(self, body: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the fragments (none empty) that lie in ``body`` between the offsets, and where each one's begin and end."""
+        if len(off) < 2:
+            return np.zeros(0, np.uint32), np.zeros(1, np.int64)
+        inner = off[1:-1]
+        apart = ~self.cuts[body[inner - 1], body[inner]] | (off[:-2] // JOINED_BYTES != inner // JOINED_BYTES)
+        ends = [int(off[0]), *inner[apart].tolist(), int(off[-1])]
+        ids = np.concatenate([np.array(self.encode_fragment(body[a:b].tobytes()), np.uint32) for a, b in zip(ends[:-1], ends[1:], strict=True)])
+        return ids, np.searchsorted(np.concatenate([[0], np.cumsum(self.sizes[ids])]), off - off[0])
+
     def decode(self, ids) -> bytes:
         """Bytes of the ids, special tokens included; bytes that are no UTF-8 become U+FFFD."""
         body = b"".join(map(self.bytes_of.__getitem__, ids))
@@ -127,14 +143,51 @@ def vocabulary(path: str, use: str) -> Vocabulary:
     return Vocabulary(path)
 
 
-def as_words(ids: list[int]) -> bytes:
-    """Little-endian unsigned 32-bit ids."""
-    return array("I", ids).tobytes() if array("I").itemsize == 4 else np.array(ids, "<u4").tobytes()
+def ids_of_slice(body: np.ndarray, off: np.ndarray, v: Vocabulary) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of the texts that lie in ``body`` between the offsets, and where each text's begin and end."""
+    body, off = body[off[0] : off[-1]], off - off[0]
+    whole, special = body.tobytes(), {}
+    starts = np.zeros(len(body) + 1, bool)
+    starts[1:-1] = v.cuts.ravel().take((body[:-1].astype(np.uint16) << 8) | body[1:])
+    starts[off] = True
+    names = [s.encode() for s in v.special]
+    if any(s in whole for s in names):
+        for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True):
+            if any(s in whole[a:b] for s in names):
+                for part, known in v.sections(whole[a:b].decode("utf-8")):
+                    end = a + len(part.encode("utf-8"))
+                    if known is not None:
+                        starts[a:end] = False
+                        special[a] = known
+                    starts[[a, end]] = True
+                    a = end
+    at = np.flatnonzero(starts)  # the end of the last fragment, too
+    every = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(at) - 1, [None, pa.py_buffer(at), pa.py_buffer(whole)]).dictionary_encode()
+    ids, to = v.ids_of_each(*raw(every.dictionary))
+    codes = every.indices.to_numpy()
+    if special:
+        codes = codes.copy()
+        codes[np.searchsorted(at, list(special))] = len(to) - 1 + np.arange(len(special))
+        ids = np.concatenate([ids, np.array(list(special.values()), np.uint32)])
+        to = np.concatenate([to, to[-1] + 1 + np.arange(len(special))])
+    packed = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(to) - 1, [None, pa.py_buffer(4 * to), pa.py_buffer(ids)])
+    words, ends = raw(packed.take(pa.array(codes)))
+    return words[: ends[-1]].view(np.uint32), ends[np.searchsorted(at, off)] // 4
+
+
+def ids_of_all(texts: pa.Array, path: str) -> Iterator[np.ndarray]:
+    """The ids (unsigned 32-bit) of each text of a large_string array without nulls."""
+    v = vocabulary(path, "words")
+    body, off = raw(texts)
+    for a, b in slices(off, ENCODE_BYTES):
+        ids, at = ids_of_slice(body, off[a : b + 1], v)
+        for i, j in zip(at[:-1].tolist(), at[1:].tolist(), strict=True):
+            yield ids[i:j]
 
 
 def ids_of(text: str | None, path: str) -> bytes:
-    """The text's ids, packed."""
-    return b"".join(vocabulary(path, "words").pack(text, as_words)) if text else b""
+    """The text's ids, packed as unsigned 32-bit words."""
+    return next(ids_of_all(pa.array([text or ""], pa.large_string()), path)).tobytes()
 
 
 def digest(docs: DataFrame, path: str, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -163,7 +216,7 @@ def encode(docs: DataFrame, path: str, key: str = "doc_id", text: str = "text")
     """Per document: key and ids (array<int>)."""
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        ids = [np.frombuffer(ids_of(t, path), np.uint32).astype(np.int32) for t in empty_safe(batch.column(text)).to_pylist()]
+        ids = [i.astype(np.int32) for i in ids_of_all(empty_safe(batch.column(text)), path)]
         return pa.RecordBatch.from_arrays([batch.column(key), pa.array(ids, pa.list_(pa.int32()))], [key, "ids"])
 
     return arrow_map(docs.select(key, text), run, f"`{key}` {docs.schema[key].dataType.simpleString()}, ids array<int>")

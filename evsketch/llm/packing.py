@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evsketch.llm.bpe import ids_of
+from evsketch.llm.bpe import ids_of_all
 from evsketch.llm.common import arrow_map, empty_safe, staged
 
 #: Pieces that one task packs.
@@ -114,8 +114,8 @@ def pieces(docs: DataFrame, path: str, key: str = "doc_id", text: str = "text",
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         take, cols = [], [[], [], [], []]
-        for i, t in enumerate(empty_safe(batch.column(text)).to_pylist()):
-            ids = ids_of(t, path) + tail
+        for i, known in enumerate(ids_of_all(empty_safe(batch.column(text)), path)):
+            ids = known.tobytes() + tail
             for p, (a, n) in enumerate(piece_bounds(len(ids) // 4, size)):
                 take.append(i)
                 for c, v in zip(cols, (p, a, n, zlib.crc32(ids[4 * a : 4 * (a + n)])), strict=True):

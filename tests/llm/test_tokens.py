@@ -4,6 +4,7 @@ import zlib
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 from tokenizers import Tokenizer
 
@@ -33,6 +34,27 @@ def test_encoding_equals_the_library(library):
         assert v.decode(ids).decode() == library.decode(e.ids, skip_special_tokens=False) == t
 
 
+def test_slices_equal_the_library(library, monkeypatch):
+    every = ["skipped", *texts()]
+    column = pa.array(every, pa.large_string())[1:]
+    for sizes in ((4 << 20, 1 << 18), (300, 16), (1, 1)):
+        monkeypatch.setattr(bpe, "ENCODE_BYTES", sizes[0])
+        monkeypatch.setattr(bpe, "JOINED_BYTES", sizes[1])
+        got = [i.tolist() for i in bpe.ids_of_all(column, PATH)]
+        assert got == [e.ids for e in library.encode_batch(every[1:], add_special_tokens=False)]
+    assert list(bpe.ids_of_all(column[:0], PATH)) == []
+    assert [len(i) for i in bpe.ids_of_all(pa.array(["", ""], pa.large_string()), PATH)] == [0, 0]
+
+
+def test_different_fragments_are_encoded_once(library, monkeypatch):
+    text = "".join(f" word{i % 1000}" for i in range(20_000))  # more different ones than are remembered
+    v, sizes = bpe.vocabulary(PATH, "words"), []
+    monkeypatch.setattr(bpe, "CACHE_ENTRIES", 100)
+    monkeypatch.setattr(v, "encode_fragment", lambda f: sizes.append(len(f)) or bpe.Vocabulary.encode_fragment(v, f))
+    assert np.frombuffer(bpe.ids_of(text, PATH), np.uint32).tolist() == library.encode(text, add_special_tokens=False).ids
+    assert sum(sizes) <= 1000 * len(" word999") and len(sizes) <= 2
+
+
 def test_cuts_are_forced(library):
     v = bpe.vocabulary(PATH, "words")
     for a, b in np.argwhere(v.cuts).tolist():
